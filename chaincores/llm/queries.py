@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, mixing, urls
+from . import decontaminate, mixing, simhash, tokens, urls
 from .common import table
 
 
@@ -23,7 +23,23 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark").select("item_id", "text"))
 
 
-QUERIES = {"op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
+def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    d = simhash.near_components(table(spark, sf_dir, "documents"), k=3)
+    return d.select("doc_id", simhash.hex16(F.col("fp")).alias("fingerprint"), "component_id")
+
+
+def tokenizer_file(name: str) -> str:
+    """Where the installed tokenizer files lie."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokens.token_counts(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
+
+
+QUERIES = {"op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
 
 _UP, _LOW = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ'", "'abcdefghijklmnopqrstuvwxyz'"
 
