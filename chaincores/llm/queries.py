@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, mixing, simhash, tokens, urls
+from . import chat, decontaminate, mixing, neighbours, simhash, tokens, urls
 from .common import table
 
 
@@ -39,7 +39,16 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.token_counts(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
 
 
-QUERIES = {"op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
+def op4_multiprobe_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    v = table(spark, sf_dir, "embeddings")
+    return neighbours.search(v, v.where("vec_id % 50 = 0"))
+
+
+def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.formatted_corpus(table(spark, sf_dir, "conversations"), tokenizer_file("byte_bpe_50k.json"))
+
+
+QUERIES = {"op4_multiprobe_neighbours": op4_multiprobe_neighbours, "op7_chat_format": op7_chat_format, "op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
 
 _UP, _LOW = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ'", "'abcdefghijklmnopqrstuvwxyz'"
 
