@@ -21,7 +21,7 @@ from pyspark.sql import window as W
 
 from ..session import materialise
 
-TABLES, HASHES, WIDTH, PROBES, SEED = 4, 4, 1.0, 54, 11
+TABLES, HASHES, WIDTH, PROBES, SEED = 5, 4, 1.2, 42, 11
 HEAVY_ROWS, HEAVY_QUERIES = 200_000, 5_000
 
 
