@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontaminate, mixing, neighbours, simhash, tokens, urls
+from . import chat, decontaminate, mixing, neighbours, quality, simhash, tokens, toxicity, urls
 from .common import table
 
 
@@ -48,7 +48,18 @@ def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.formatted_corpus(table(spark, sf_dir, "conversations"), tokenizer_file("byte_bpe_50k.json"))
 
 
-QUERIES = {"op4_multiprobe_neighbours": op4_multiprobe_neighbours, "op7_chat_format": op7_chat_format, "op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.scores(docs, *toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    s = quality.score(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
+    return s.select("doc_id", F.col("_expected").alias("expected_grade"), F.col("_tail").alias("tail_probability"), (F.col("_tail") >= 0.5).alias("keep"))
+
+
+QUERIES = {"op1_toxicity": op1_toxicity, "op2_quality": op2_quality, "op4_multiprobe_neighbours": op4_multiprobe_neighbours, "op7_chat_format": op7_chat_format, "op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
 
 _UP, _LOW = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ'", "'abcdefghijklmnopqrstuvwxyz'"
 
