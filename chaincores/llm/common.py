@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,21 +30,27 @@ def utf8(column: pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]
 
 
+_BLANK = np.zeros(256, bool)
+_BLANK[[0x20, *range(0x09, 0x0E)]] = True
+
+
 def word_codes(column: pa.Array, lower: bool = True) -> tuple[np.ndarray, pa.Array, np.ndarray]:
     """Words (ASCII white space apart) of a batch: codes of all occurrences, distinct words, and words per text."""
-    text = pc.fill_null(column.cast(pa.large_string()), "")
+    texts = utf8(column)
+    b = np.frombuffer(b"\n".join([*texts, b""]), np.uint8)
+    if not len(b):
+        return np.zeros(0, np.int64), pa.array([], pa.large_string()), np.zeros(len(texts), np.int64)
     if lower:
-        text = pc.ascii_lower(text)
-    lists = pc.ascii_split_whitespace(text)
-    words, ends = lists.values, np.asarray(lists.offsets)
-    words = words.slice(ends[0], ends[-1] - ends[0])
-    coded = words.dictionary_encode()
-    codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
-    real = np.asarray(pc.not_equal(pc.binary_length(coded.dictionary), 0)) if len(coded.dictionary) else np.zeros(0, bool)
-    held = real[codes] if len(codes) else np.zeros(0, bool)
-    before = np.concatenate([[0], np.cumsum(held)])
-    counts = np.diff(before[ends - ends[0]])
-    return codes[held], coded.dictionary, counts
+        b = np.where((b >= 65) & (b <= 90), b + np.uint8(32), b)
+    blank = _BLANK[b]
+    held = ~blank
+    starts = np.flatnonzero(held & np.concatenate([[True], blank[:-1]]))
+    ends = np.flatnonzero(blank & np.concatenate([[False], held[:-1]]))
+    offsets = np.concatenate([[0], np.cumsum(ends - starts)]).astype(np.int64)
+    data = np.ascontiguousarray(b[held])
+    words = pa.LargeStringArray.from_buffers(len(starts), pa.py_buffer(offsets), pa.py_buffer(data)).dictionary_encode()
+    upto = np.searchsorted(starts, np.cumsum([len(t) + 1 for t in texts]))
+    return np.asarray(words.indices).astype(np.int64), words.dictionary, np.diff(upto, prepend=0)
 
 
 def sums(values: np.ndarray, counts: np.ndarray) -> np.ndarray:

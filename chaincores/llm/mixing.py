@@ -36,7 +36,7 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, share: float = SHARE, most
     rest = by.rowsBetween(W.Window.currentRow, W.Window.unboundedFollowing)
     s = s.withColumns({"left": F.lit(share) * F.sum("source_size").over(every) - (F.sum("cap").over(by.rowsBetween(W.Window.unboundedPreceding, W.Window.currentRow)) - F.col("cap")), "w_rest": F.sum("weight").over(rest)})
     s = s.withColumn("level", F.col("left") / F.col("w_rest"))
-    level = F.min(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(every)
+    level = F.max(F.when(F.col("level") * F.col("weight") <= F.col("cap"), F.col("level"))).over(every)
     return s.withColumn("at", level).select("source", "source_size", F.when(F.col("at").isNull(), F.col("cap").cast("double")).otherwise(F.least(F.col("cap").cast("double"), F.col("at") * F.col("weight"))).alias("target"))
 
 

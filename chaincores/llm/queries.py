@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontaminate, mixing, neighbours, quality, simhash, tokens, toxicity, urls
+from . import chat, decontaminate, mixing, neighbours, quality, simhash, suffixes, tokens, toxicity, urls
 from .common import table
 
 
@@ -59,7 +59,11 @@ def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return s.select("doc_id", F.col("_expected").alias("expected_grade"), F.col("_tail").alias("tail_probability"), (F.col("_tail") >= 0.5).alias("keep"))
 
 
-QUERIES = {"op1_toxicity": op1_toxicity, "op2_quality": op2_quality, "op4_multiprobe_neighbours": op4_multiprobe_neighbours, "op7_chat_format": op7_chat_format, "op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
+def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.report(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {"op1_toxicity": op1_toxicity, "op2_quality": op2_quality, "op3_suffix_dedup": op3_suffix_dedup, "op4_multiprobe_neighbours": op4_multiprobe_neighbours, "op7_chat_format": op7_chat_format, "op5_simhash": op5_simhash, "op6_token_counts": op6_token_counts, "op8_url_reputation": op8_url_reputation, "op9_mix_sources": op9_mix_sources, "op10_decontaminate": op10_decontaminate}
 
 _UP, _LOW = "'ABCDEFGHIJKLMNOPQRSTUVWXYZ'", "'abcdefghijklmnopqrstuvwxyz'"
 
@@ -100,7 +104,7 @@ s0 AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 s1 AS (SELECT *, CASE (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 WHEN 0 THEN 3 WHEN 1 THEN 1 ELSE 2 END AS weight, source_size * 2 AS cap FROM s0),
 s2 AS (SELECT *, (1.5::DOUBLE * sum(source_size) OVER () - (sum(cap) OVER (ORDER BY cap / weight::DOUBLE, source NULLS LAST ROWS UNBOUNDED PRECEDING) - cap))
   / sum(weight) OVER (ORDER BY cap / weight::DOUBLE, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM s1),
-s3 AS (SELECT *, min(CASE WHEN level * weight <= cap THEN level END) OVER () AS lv FROM s2),
+s3 AS (SELECT *, max(CASE WHEN level * weight <= cap THEN level END) OVER () AS lv FROM s2),
 s AS (SELECT source, source_size, CASE WHEN lv IS NULL THEN cap::DOUBLE ELSE least(cap::DOUBLE, lv * weight) END AS target,
   ('0x' || substr(md5(coalesce(source, '') || '|mix-1'), 1, 7))::BIGINT / (16::DOUBLE ** 7) AS u FROM s3),
 e AS (SELECT d.doc_id, d.size, s.source_size, s.target, s.u, CASE WHEN s.source_size > 0 THEN s.target / s.source_size ELSE 0.0::DOUBLE END AS ratio,
