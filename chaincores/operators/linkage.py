@@ -50,7 +50,7 @@ def association_weights(values: DataFrame, epsilon: float = 0.99) -> DataFrame:
 
 def learn_weights(records: DataFrame, gold: DataFrame, most: int = 1000) -> DataFrame:
     """role, agree, differ: P(same group | values agree), P(other group | they differ), over pairs within name classes of a hash sample."""
-    r = records.join(gold, "rid").withColumn("order", F.xxhash64("rid", F.lit(5))).orderBy("order").limit(most).select("rid", "name", "phone", "url", "gold")
+    r = records.drop("gold").join(gold, "rid").withColumn("order", F.xxhash64("rid", F.lit(5))).orderBy("order").limit(most).select("rid", "name", "phone", "url", "gold")
     pairs = r.alias("a").join(r.alias("b"), (F.substring("a.name", 1, 4) == F.substring("b.name", 1, 4)) & (F.col("a.rid") < F.col("b.rid")))
     same = F.col("a.gold") == F.col("b.gold")
     roles = {"com": F.col("a.name") == F.col("b.name"), "dom": F.coalesce(F.col("a.phone") == F.col("b.phone"), F.lit(False)) | F.coalesce(F.col("a.url") == F.col("b.url"), F.lit(False))}
@@ -101,8 +101,26 @@ def cluster_elements(records: DataFrame, cores: DataFrame, settings: Settings =
     links = base.select("eid", "block", value.alias("v")).select("eid", F.concat_ws("|", "block", "v").alias("clique")).unionByName(base.select("eid", F.concat(F.lit("="), F.col("eid").cast("string")).alias("clique"))).distinct()
     comp = record_components(links.select(F.col("eid").alias("rid"), "clique")).select(F.col("rid").alias("eid"), F.col("comp").alias("task"))
     packed = materialise(base.join(comp, "eid"), "elements")
-    got = packed.groupBy("block", "task").applyInPandas(_solve(settings), "eid long, group_id long")
-    return e.join(got, "eid").select("rid", "group_id")
+    got = materialise(packed.groupBy("block", "task").applyInPandas(_solve(settings), "eid long, group_id long"), "clusters")
+    groups = e.join(got, "eid").select("rid", "is_core", "group_id")
+    if settings.weights.mode == "single" or cluster_is_below(settings):
+        return groups.select("rid", "group_id")
+    return _distinct_names(records, groups)
+
+
+def cluster_is_below(settings: Settings) -> bool:
+    """Whether agreement on a distinct common value alone stays below the threshold."""
+    w = settings.weights
+    return w.distinct / (w.distinct + w.effective("dom", 0.0)) <= settings.theta
+
+
+def _distinct_names(records: DataFrame, groups: DataFrame) -> DataFrame:
+    """A name that only one group with cores bears is distinct, and weighs more: satellites left alone under it join that group."""
+    named = groups.join(blocks(records, ALIKE), "rid")
+    bearing = named.where("is_core").groupBy("block").agg(F.min("group_id").alias("g"), F.max("group_id").alias("g2")).where("g = g2").select("block", "g")
+    alone = named.groupBy("group_id").agg(F.count("*").alias("n"))
+    out = named.join(alone, "group_id").join(bearing, "block", "left")
+    return out.select("rid", F.when((F.col("n") == 1) & ~F.col("is_core"), F.coalesce("g", "group_id")).otherwise(F.col("group_id")).alias("group_id"))
 
 
 def two_stage(records: DataFrame, k: int = 2, settings: Settings = Settings(), stages: str = "both", strategy: str = "full", threshold: float | None = None) -> DataFrame:

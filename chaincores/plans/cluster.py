@@ -13,6 +13,7 @@ class Weights:
     com: tuple = (0.5, 0.5)
     dom: tuple = (0.9, 0.5)
     multi: float = 0.1
+    distinct: float = 0.9  # agreement on a common value that one group alone bears
     mode: str = "double"
 
     def effective(self, role: str, sim: float) -> float:
@@ -20,7 +21,7 @@ class Weights:
         return sim * agree + (1 - sim) * differ
 
 
-PRESETS = {"learned": Weights(), "three_equal": Weights((1 / 3, 1 / 3), (1 / 3, 1 / 3), 1 / 6, "single"), "two_equal": Weights((0.5, 0.5), (0.5, 0.5), 0.1, "single")}
+PRESETS = {"learned": Weights(), "three_equal": Weights((1 / 3, 1 / 3), (1 / 3, 1 / 3), 1 / 6, mode="single"), "two_equal": Weights((0.5, 0.5), (0.5, 0.5), 0.1, mode="single")}
 
 
 @dataclass(frozen=True)

@@ -67,7 +67,7 @@ def test_dominant_similarity_number():
     core = Element(1, True, 7, {("com", "name", "oak"): 7, ("dom", "phone", "808"): 5, ("dom", "phone", "101"): 1})
     c = Cluster()
     c.add(core)
-    lone = Settings(p=0.9, weights=Weights((0.0, 0.0), (1.0, 1.0), 0.0, "single"))
+    lone = Settings(p=0.9, weights=Weights((0.0, 0.0), (1.0, 1.0), 0.0, mode="single"))
     assert abs(similarity(element(8, ["808"]), c, lone) - 0.9 * 5 / 7) < 1e-9
 
 
