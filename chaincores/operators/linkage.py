@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections import Counter
+from dataclasses import dataclass
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -87,25 +88,40 @@ def _solve(settings: Settings):
     return run
 
 
-def cluster_elements(records: DataFrame, cores: DataFrame, settings: Settings = Settings(), block_threshold: float | None = 0.8) -> DataFrame:
-    """rid, group_id (smallest element of the group): clusters of each block.
+@dataclass(frozen=True)
+class Packed:
+    """Elements with their block and evidence component, and each record's close-name block; shared by all settings."""
+
+    elements: DataFrame
+    rows: DataFrame
+    alike: DataFrame
 
-    Inside a block, records without evidence in common only meet through their names; the tasks get one
-    evidence component each, so that a block of one very common name is not one task.
-    """
-    e = elements(records, cores)
+
+def pack(records: DataFrame, cores: DataFrame, block_threshold: float | None = 0.8) -> Packed:
+    """Evidence components: elements of a block that share a dominant value. Inside a block, others only meet through their
+    names, so a block of one very common name is not one task."""
+    e = materialise(elements(records, cores), "elements")
     b = blocks(records, block_threshold)
-    base = records.select("rid", "name", "phone", "url", "url2", "state", "category").join(e, "rid").join(b, "rid")
-    # evidence components: elements of a block that share a dominant value
+    base = materialise(records.select("rid", "name", "phone", "url", "url2", "state", "category").join(e, "rid").join(b, "rid"), "blocked")
     value = F.explode(F.array_compact(F.array("phone", "url", "url2")))
-    links = base.select("eid", "block", value.alias("v")).select("eid", F.concat_ws("|", "block", "v").alias("clique")).unionByName(base.select("eid", F.concat(F.lit("="), F.col("eid").cast("string")).alias("clique"))).distinct()
+    links = base.select("eid", "block", value.alias("v")).select("eid", F.concat_ws("|", "block", "v").alias("clique")).distinct()
     comp = record_components(links.select(F.col("eid").alias("rid"), "clique")).select(F.col("rid").alias("eid"), F.col("comp").alias("task"))
-    packed = materialise(base.join(comp, "eid"), "elements")
-    got = materialise(packed.groupBy("block", "task").applyInPandas(_solve(settings), "eid long, group_id long"), "clusters")
-    groups = e.join(got, "eid").select("rid", "is_core", "group_id")
+    rows = base.join(comp, "eid", "left").withColumn("task", F.coalesce("task", "eid"))
+    return Packed(e, materialise(rows, "packed"), materialise(blocks(records, ALIKE), "alike"))
+
+
+def assign(packed: Packed, settings: Settings = Settings()) -> DataFrame:
+    """rid, group_id (smallest element of the group): clusters of each evidence component, then distinct names."""
+    got = packed.rows.groupBy("block", "task").applyInPandas(_solve(settings), "eid long, group_id long")
+    groups = packed.elements.join(got, "eid").select("rid", "is_core", "group_id")
     if settings.weights.mode == "single" or cluster_is_below(settings):
         return groups.select("rid", "group_id")
-    return _distinct_names(records, groups)
+    return _distinct_names(packed.alike, materialise(groups, "clusters"))
+
+
+def cluster_elements(records: DataFrame, cores: DataFrame, settings: Settings = Settings(), block_threshold: float | None = 0.8) -> DataFrame:
+    """rid, group_id for elements given by ``cores(rid, core)`` and the other records."""
+    return assign(pack(records, cores, block_threshold), settings)
 
 
 def cluster_is_below(settings: Settings) -> bool:
@@ -114,9 +130,9 @@ def cluster_is_below(settings: Settings) -> bool:
     return w.distinct / (w.distinct + w.effective("dom", 0.0)) <= settings.theta
 
 
-def _distinct_names(records: DataFrame, groups: DataFrame) -> DataFrame:
+def _distinct_names(alike: DataFrame, groups: DataFrame) -> DataFrame:
     """A name that only one group with cores bears is distinct, and weighs more: satellites left alone under it join that group."""
-    named = groups.join(blocks(records, ALIKE), "rid")
+    named = groups.join(alike, "rid")
     bearing = named.where("is_core").groupBy("block").agg(F.min("group_id").alias("g"), F.max("group_id").alias("g2")).where("g = g2").select("block", "g")
     alone = named.groupBy("group_id").agg(F.count("*").alias("n"))
     out = named.join(alone, "group_id").join(bearing, "block", "left")

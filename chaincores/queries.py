@@ -348,26 +348,42 @@ def compare(spark, runs) -> DataFrame:
 
 
 def _sweep(view: str, variants: dict):
+    """Variants are functions of the records, or settings for the second stage over cores that are found once."""
+
     def run(spark, sf):
         r = materialise(listings(spark, sf, view), "listings")
-        return compare(spark, [(n, f(r), r) for n, f in variants.items()])
+        packed = None
+        runs = []
+        for name, f in variants.items():
+            if isinstance(f, Settings):
+                packed = packed or L.pack(r, C.find_cores(G.graph(r), 1))
+                runs.append((name, L.assign(packed, f), r))
+            else:
+                runs.append((name, f(r), r))
+        return compare(spark, runs)
 
     return run
 
 
-_two = lambda **kw: lambda r: L.two_stage(r, **({"k": 1} | kw))
-_set = lambda **kw: _two(settings=Settings().but(**kw))
-METHODS = {"same_name": B.same_name, "connected_graph": B.connected_graph, "edge_partition": B.edge_partition, "edge_center": B.edge_star, "edge_merge": lambda r: B.edge_star(r, merge=True), "tfidf_two_stage": lambda r: B.tfidf_assign(r, B.agglomerative_cores(r)), "two_stage": _two()}
+def _two(**settings):
+    return lambda r: L.two_stage(r, **({"k": 1} | settings))
+
+
+def _set(**changes) -> Settings:
+    return Settings().but(**changes)
+
+
+METHODS = {"same_name": B.same_name, "connected_graph": B.connected_graph, "edge_partition": B.edge_partition, "edge_center": B.edge_star, "edge_merge": lambda r: B.edge_star(r, merge=True), "tfidf_two_stage": lambda r: B.tfidf_assign(r, B.agglomerative_cores(r)), "two_stage": Settings()}
 for _v in ("p1", "p2", "p3", "p4", "p4p", "p5"):
     query(f"overall_{_v}")(_sweep(_v, METHODS))
-query("ablation_stages")(_sweep("p1", {"both": _two(), "core_only": _two(stages="core_only"), "cluster_only": _two(stages="cluster_only")}))
-query("ablation_core_strategy")(_sweep("p4p", {"full": _two(), "screen_only": _two(strategy="screen_only"), "agglomerative": lambda r: L.cluster_elements(r, B.agglomerative_cores(r))}))
-query("ablation_edge_rule")(_sweep("p1", {"one_dominant": _two(), "two_dominant": lambda r: L.cluster_elements(r, C.find_cores(G.two_dominant_cliques(G.value_rows(r)), 1)), "similarity": lambda r: L.cluster_elements(r, C.find_cores(B.record_pairs(r).where("sim > 0.8").select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), 1))}))
+query("ablation_stages")(_sweep("p1", {"both": Settings(), "core_only": _two(stages="core_only"), "cluster_only": _two(stages="cluster_only")}))
+query("ablation_core_strategy")(_sweep("p4p", {"full": Settings(), "screen_only": _two(strategy="screen_only"), "agglomerative": lambda r: L.cluster_elements(r, B.agglomerative_cores(r))}))
+query("ablation_edge_rule")(_sweep("p1", {"one_dominant": Settings(), "two_dominant": lambda r: L.cluster_elements(r, C.find_cores(G.two_dominant_cliques(G.value_rows(r)), 1)), "similarity": lambda r: L.cluster_elements(r, C.find_cores(B.record_pairs(r).where("sim > 0.8").select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), 1))}))
 query("sweep_k")(_sweep("p1", {f"k{k}": _two(k=k) for k in range(5)}))
 query("sweep_p")(_sweep("p1", {f"p{p}": _set(p=p) for p in (0.8, 0.9, 1.0)}))
 query("sweep_theta")(_sweep("p1", {f"theta{t}": _set(theta=t) for t in (0.5, 0.6, 0.7)}))
 query("sweep_name")(_sweep("p1", {f"name{t}": _two(threshold=t) for t in (0.8, 0.9, 0.95)}))
-query("ablation_second_stage")(_sweep("p1", {"clustering": _two(), "vote": lambda r: B.vote_assign(r, C.find_cores(G.graph(r), 1)), "tfidf": lambda r: B.tfidf_assign(r, C.find_cores(G.graph(r), 1))}))
+query("ablation_second_stage")(_sweep("p1", {"clustering": Settings(), "vote": lambda r: B.vote_assign(r, C.find_cores(G.graph(r), 1)), "tfidf": lambda r: B.tfidf_assign(r, C.find_cores(G.graph(r), 1))}))
 query("ablation_clustering")(_sweep("p1", {f"{i}_{a}": _set(init=i, adjust=a == "adjust") for i in ("greedy", "exhaustive") for a in ("adjust", "plain")}))
 query("ablation_value_weight")(_sweep("p1", {w: _set(value_weight=w) for w in ("popularity", "none")}))
 query("ablation_dominant")(_sweep("p1", {d: _set(dominant=d) for d in ("united", "separated")}))
@@ -379,7 +395,7 @@ def _without(*columns):
     return lambda r: L.two_stage(r.withColumns({c: F.lit(None).cast("string") for c in columns}), k=1)
 
 
-query("ablation_attributes")(_sweep("p4p", {"name": B.same_name, "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": _two()}))
+query("ablation_attributes")(_sweep("p4p", {"name": B.same_name, "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
 
 
 @query("ladder_fifths")
