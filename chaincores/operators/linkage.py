@@ -82,7 +82,8 @@ def _solve(settings: Settings):
                     if isinstance(v, str) and v:
                         values[("multi", attr, v)] += 1
             found.append(Element(eid, bool(g["is_core"].iloc[0]), len(g), values))
-        got = cluster_block(found, settings)
+        outside = frozenset(("com", "name", root[n]) for n in set(pdf.loc[pdf["elsewhere"], "name"]) if n is not None)
+        got = cluster_block(found, settings, outside)
         return pd.DataFrame(list(got.items()), columns=["eid", "group_id"])
 
     return run
@@ -107,6 +108,8 @@ def pack(records: DataFrame, cores: DataFrame, block_threshold: float | None = 0
     links = base.select("eid", "block", value.alias("v")).select("eid", F.concat_ws("|", "block", "v").alias("clique")).distinct()
     comp = record_components(links.select(F.col("eid").alias("rid"), "clique")).select(F.col("rid").alias("eid"), F.col("comp").alias("task"))
     rows = base.join(comp, "eid", "left").withColumn("task", F.coalesce("task", "eid"))
+    tasks = rows.groupBy("block", "name").agg((F.min("task") < F.max("task")).alias("elsewhere"))
+    rows = rows.join(tasks.withColumnsRenamed({"block": "tb", "name": "tn"}), (F.col("block") == F.col("tb")) & F.col("name").eqNullSafe(F.col("tn"))).drop("tb", "tn")
     return Packed(e, materialise(rows, "packed"), materialise(blocks(records, ALIKE), "alike"))
 
 

@@ -120,8 +120,9 @@ def silhouette(a: float, b: float, alpha: float = 0.01, beta: float = 0.02) -> f
 
 
 class Block:
-    def __init__(self, elements: list[Element], s: Settings):
-        self.s, self.elements = s, {e.eid: e for e in elements}
+    def __init__(self, elements: list[Element], s: Settings, outside: frozenset = frozenset()):
+        """outside: common values that elements elsewhere have too, which share nothing else with these."""
+        self.s, self.elements, self.outside = s, {e.eid: e for e in elements}, outside
         self.of: dict = {}
         self.clusters: dict = {}
         self.next = 0
@@ -156,7 +157,7 @@ class Block:
     def base(self, e: Element) -> float:
         """Similarity to a cluster that agrees on the common value alone, if there is another such cluster."""
         own = self.of[e.eid]
-        if not any(c != own and c in self.clusters and self.clusters[c].values[k] > 0 for k in e.values if k[0] == "com" for c in self.holders.get(k, ())):
+        if not any(k in self.outside for k in e.values if k[0] == "com") and not any(c != own and c in self.clusters and self.clusters[c].values[k] > 0 for k in e.values if k[0] == "com" for c in self.holders.get(k, ())):
             return 0.0
         wc, wd = self.s.weights.effective("com", 1.0), self.s.weights.effective("dom", 0.0)
         return wc / (wc + wd) if wc + wd else 0.0
@@ -247,9 +248,9 @@ class Block:
                 self.restore(best[1])
 
 
-def cluster_block(elements: list[Element], s: Settings) -> dict:
+def cluster_block(elements: list[Element], s: Settings, outside: frozenset = frozenset()) -> dict:
     """eid -> smallest eid of its cluster."""
-    b = Block(elements, s)
+    b = Block(elements, s, outside)
     b.initialise()
     if s.adjust:
         b.adjust()
