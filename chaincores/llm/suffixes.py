@@ -24,9 +24,9 @@ from .common import utf8
 
 LENGTH, GRAM = 400, 64
 #: Bytes of distinct segments that a shard should hold, on average.
-SHARD = 4 << 20
+SHARD = 2 << 20
 _MUL, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
-PIECE = 1 << 22
+PIECE = 1 << 20
 
 
 def gram_hashes(b: np.ndarray, gram: int) -> np.ndarray:
