@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from .common import sums, word_codes
 
 #: Labelled rows that a model is fitted on at most; they are drawn by a hash of the id.
-SAMPLE, WIDTH, STEPS, RATE, DECAY = 6_000, 1 << 17, 100, 0.3, 1e-6
+SAMPLE, WIDTH, STEPS, RATE, DECAY = 5_000, 1 << 17, 100, 0.3, 1e-6
 SCALE = 20.0
 _RUNS = ((re.compile(r"[a-z]+"), "a"), (re.compile(r"[A-Z]+"), "A"), (re.compile(r"[0-9]+"), "0"), (re.compile(r"[^\x00-\x7f]+"), "x"))
 
@@ -50,17 +50,22 @@ class OrdinalModel:
 
 
 def fit_rows(y: np.ndarray, rows: list[tuple[np.ndarray, np.ndarray]], steps: int = STEPS, rate: float = RATE, decay: float = DECAY) -> OrdinalModel:
-    """Maximum likelihood by full-batch Adam; ``rows`` are (feature ids, mean counts). Thresholds are kept in order."""
+    """:func:`fit_flat` of ``rows`` (feature ids, mean counts)."""
+    cat = lambda k, kind: np.concatenate([np.zeros(0, kind), *[r[k] for r in rows]])
+    return fit_flat(y, cat(0, np.int64), cat(1, float), np.array([len(i) for i, _ in rows], np.int64), steps, rate, decay)
+
+
+def fit_flat(y: np.ndarray, ids: np.ndarray, vals: np.ndarray, lens: np.ndarray, steps: int = STEPS, rate: float = RATE, decay: float = DECAY) -> OrdinalModel:
+    """Maximum likelihood by full-batch Adam over rows of so many (feature, mean count) pairs. Thresholds are kept in order."""
     grades = np.unique(y).astype(float)
     if len(grades) < 2:
         return OrdinalModel(grades if len(grades) else np.array([1.0]), np.zeros(WIDTH), np.zeros(max(0, len(grades) - 1)))
-    level, lens = np.searchsorted(grades, y), np.array([len(i) for i, _ in rows])
-    ids, vals, owner = np.concatenate([i for i, _ in rows]), np.concatenate([v for _, v in rows]) * SCALE, np.repeat(np.arange(len(rows)), lens)
+    level, vals, owner = np.searchsorted(grades, y), vals * SCALE, np.repeat(np.arange(len(lens)), lens)
     at_least = np.clip(np.array([(level > k).mean() for k in range(len(grades) - 1)]), 1e-3, 1 - 1e-3)
     w, t = np.zeros(WIDTH), -np.log(at_least / (1 - at_least))
     state = [np.zeros_like(w), np.zeros_like(w), np.zeros_like(t), np.zeros_like(t)]
     for step in range(1, steps + 1):
-        s = np.bincount(owner, vals * w[ids], len(rows))
+        s = np.bincount(owner, vals * w[ids], len(lens))
         up = 1 / (1 + np.exp(-np.clip(s[:, None] - t[None, :], -40, 40)))
         p = np.concatenate([np.ones((len(s), 1)), up, np.zeros((len(s), 1))], 1)
         d = p * (1 - p)
@@ -105,8 +110,9 @@ def fit(docs: DataFrame, labels: DataFrame, grade: str = "quality", most: int =
     chosen = sample_labels(labels, grade, most)
     rated = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", F.col(grade).cast("double").alias("y"))
     got = rated.mapInArrow(run, "doc_id long, y double, ids array<int>, vals array<float>").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")])
-    rows = [(np.asarray(i, np.int64), np.asarray(v)) for i, v in zip(got["ids"].to_pylist(), got["vals"].to_pylist(), strict=True)]
-    return fit_rows(np.asarray(got["y"]), rows)
+    ids, vals = (got[c].combine_chunks() for c in ("ids", "vals"))
+    lens = ids.value_lengths().to_numpy(zero_copy_only=False)
+    return fit_flat(np.asarray(got["y"]), ids.flatten().to_numpy(zero_copy_only=False), vals.flatten().to_numpy(zero_copy_only=False), lens)
 
 
 def score(docs: DataFrame, model: OrdinalModel) -> DataFrame:
