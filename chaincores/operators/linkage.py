@@ -17,6 +17,8 @@ from .cores import find_cores
 from .graph import graph, name_classes, record_components
 
 ALIKE = 0.9
+#: The method's edge rule and cores: name similarity above this, and the records that a core may lose.
+NAME, ROBUST = 0.95, 2
 
 
 def elements(records: DataFrame, cores: DataFrame) -> DataFrame:
@@ -142,13 +144,14 @@ def _distinct_names(alike: DataFrame, groups: DataFrame) -> DataFrame:
     return out.select("rid", F.when((F.col("n") == 1) & ~F.col("is_core"), F.coalesce("g", "group_id")).otherwise(F.col("group_id")).alias("group_id"))
 
 
-def two_stage(records: DataFrame, k: int = 2, settings: Settings = Settings(), stages: str = "both", strategy: str = "full", threshold: float | None = None) -> DataFrame:
-    """rid, group_id. stages: 'both', 'core_only' (others are singletons), 'cluster_only' (every record an element without core)."""
-    incidence = graph(records, threshold)
+def two_stage(records: DataFrame, k: int = ROBUST, settings: Settings = Settings(), stages: str = "both", strategy: str = "full", threshold: float | None = NAME) -> DataFrame:
+    """rid, group_id. stages: 'both', 'core_only' (others are singletons), 'cluster_only' (every record an element without core).
+
+    Records are linked if their names are more similar than ``threshold`` (None: equal) and they share a dominant value."""
     if stages == "cluster_only":
         # every record is a core of its own
         return cluster_elements(records, records.select("rid", F.col("rid").alias("core")), settings)
-    cores = materialise(find_cores(incidence, k, strategy), "cores")
+    cores = materialise(find_cores(graph(records, threshold), k, strategy), "cores")
     if stages == "core_only":
         return elements(records, cores).select("rid", F.col("eid").alias("group_id"))
     return cluster_elements(records, cores, settings)

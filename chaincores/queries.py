@@ -36,6 +36,16 @@ def gold(r: DataFrame) -> DataFrame:
     return r.select("rid", "gold")
 
 
+def method_cores(r: DataFrame) -> DataFrame:
+    """Cores as the method defines them: similar names, and the standard robustness."""
+    return C.find_cores(G.graph(r, L.NAME), L.ROBUST)
+
+
+def classed(r: DataFrame) -> DataFrame:
+    """Records under the name of their class, for edge rules that compare names by equality."""
+    return r.join(G.name_classes(r, L.NAME), "name").withColumn("name", F.col("class")).drop("class")
+
+
 # --- SQL building blocks -----------------------------------------------------------------------------------------
 
 
@@ -300,16 +310,19 @@ query("block_stats", f"WITH {ctes()}, n AS (SELECT name, count(*) AS n FROM r GR
 # --- clustering ----------------------------------------------------------------------------------------------------
 
 for _v in ("p1", "p2", "p3", "p4", "p4p", "p5"):
-    query(f"two_stage_{_v}")(lambda spark, sf, v=_v: L.two_stage(listings(spark, sf, v), k=1))
-query("core_only")(lambda spark, sf: L.two_stage(listings(spark, sf), k=1, stages="core_only"))
-query("cluster_only")(lambda spark, sf: L.two_stage(listings(spark, sf), k=1, stages="cluster_only"))
+    query(f"two_stage_{_v}")(lambda spark, sf, v=_v: L.two_stage(listings(spark, sf, v)))
+    query(f"two_stage_{_v}_exact_k1")(lambda spark, sf, v=_v: L.two_stage(listings(spark, sf, v), k=1, threshold=None))
+query("core_only")(lambda spark, sf: L.two_stage(listings(spark, sf), stages="core_only"))
+query("cluster_only")(lambda spark, sf: L.two_stage(listings(spark, sf), stages="cluster_only"))
 for _i in ("greedy", "exhaustive"):
-    query(f"initialise_{_i}")(lambda spark, sf, i=_i: L.two_stage(listings(spark, sf), k=1, settings=Settings(init=i, adjust=False)))
-    query(f"cluster_{_i}")(lambda spark, sf, i=_i: L.two_stage(listings(spark, sf), k=1, settings=Settings(init=i)))
+    query(f"initialise_{_i}")(lambda spark, sf, i=_i: L.two_stage(listings(spark, sf), settings=Settings(init=i, adjust=False)))
+    query(f"cluster_{_i}")(lambda spark, sf, i=_i: L.two_stage(listings(spark, sf), settings=Settings(init=i)))
 
 # --- baselines and measures ------------------------------------------------------------------------------------------
 
 query("same_name", f"WITH {ctes()}, {SAME} SELECT * FROM g")(lambda spark, sf: B.same_name(listings(spark, sf)))
+_SAME95 = f"WITH RECURSIVE k AS ({_similar(0.95)}), {ctes()}, g AS (SELECT rid, coalesce(min(rid) OVER (PARTITION BY class), rid) AS group_id FROM r JOIN k USING (name))"
+query("same_name_95", f"{_SAME95} SELECT * FROM g")(lambda spark, sf: B.same_name(listings(spark, sf), L.NAME))
 query("connected_graph", f"{CONNECTED} SELECT * FROM g")(lambda spark, sf: B.connected_graph(listings(spark, sf)))
 _EDGE = f"WITH RECURSIVE {ctes()}, {PAIRS}, e AS (SELECT r1 AS x, r2 AS y FROM ps WHERE sim > 0.8 UNION SELECT r2, r1 FROM ps WHERE sim > 0.8), reach(x, y) AS (SELECT x, x FROM e UNION SELECT reach.x, e.y FROM reach JOIN e ON reach.y = e.x), cm AS (SELECT x AS rid, min(y) AS comp FROM reach GROUP BY x), g AS (SELECT r.rid, coalesce(comp, r.rid) AS group_id FROM r LEFT JOIN cm USING (rid))"
 query("edge_partition", f"{_EDGE} SELECT * FROM g")(lambda spark, sf: B.edge_partition(listings(spark, sf)))
@@ -324,13 +337,14 @@ query("tfidf_assign", f"""{_CORE0}, sz AS (SELECT comp, count(*) AS size FROM co
 w AS (SELECT comp, feature, count(*) / max(size)::DOUBLE * max(idf) * max(idf) AS w FROM f JOIN comp USING (rid) JOIN sz USING (comp) JOIN idf USING (feature) GROUP BY comp, feature), sc AS (SELECT rid, comp, round(sum(w), 9) AS score FROM f JOIN w USING (feature) WHERE rid NOT IN (SELECT rid FROM comp) GROUP BY ALL HAVING round(sum(w), 9) > 0),
 b AS (SELECT rid, comp FROM sc QUALIFY row_number() OVER (PARTITION BY rid ORDER BY score DESC, comp) = 1), q AS (SELECT * FROM comp UNION ALL SELECT * FROM b) SELECT r.rid, coalesce(comp, r.rid) AS group_id FROM r LEFT JOIN q USING (rid)""")(lambda spark, sf: B.tfidf_assign(r := listings(spark, sf), C.find_cores(G.graph(r), 0)))
 query("vote_assign_round", f"{_CORE0}, rep AS (SELECT comp, feature FROM f JOIN comp USING (rid) GROUP BY ALL HAVING count(*) >= 5), vo AS (SELECT rid, comp, count(*) AS votes FROM f JOIN rep USING (feature) WHERE rid NOT IN (SELECT rid FROM comp) GROUP BY ALL) SELECT rid, comp AS core FROM vo QUALIFY row_number() OVER (PARTITION BY rid ORDER BY votes DESC, comp) = 1")(lambda spark, sf: B.vote_round(r := listings(spark, sf), C.find_cores(G.graph(r), 0)))
-query("vote_assign")(lambda spark, sf: B.vote_assign(r := listings(spark, sf), C.find_cores(G.graph(r), 1)))
+query("vote_assign")(lambda spark, sf: B.vote_assign(r := listings(spark, sf), method_cores(r)))
 query("tfidf_two_stage")(lambda spark, sf: B.tfidf_assign(r := listings(spark, sf), B.agglomerative_cores(r)))
 
 query("prf_same_name", f"WITH {ctes()}, {SAME}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.same_name(r := listings(spark, sf)), gold(r)))
+query("prf_same_name_95", f"{_SAME95}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.same_name(r := listings(spark, sf), L.NAME), gold(r)))
 query("prf_connected", f"{CONNECTED}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.connected_graph(r := listings(spark, sf)), gold(r)))
 query("prf_edge_partition", f"{_EDGE}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.edge_partition(r := listings(spark, sf)), gold(r)))
-query("prf_two_stage")(lambda spark, sf: B.pairwise_prf(L.two_stage(r := listings(spark, sf), k=1), gold(r)))
+query("prf_two_stage")(lambda spark, sf: B.pairwise_prf(L.two_stage(r := listings(spark, sf)), gold(r)))
 _PROFILE = "pf AS (SELECT group_id, count(*) AS n_records, count(DISTINCT name) AS n_names, count(DISTINCT phone) AS n_phones, count(DISTINCT category) AS n_categories FROM r JOIN g USING (rid) GROUP BY group_id), ul AS (SELECT group_id, count(DISTINCT u) AS n_urls FROM (SELECT rid, url AS u FROM r UNION ALL SELECT rid, url2 FROM r) JOIN g USING (rid) GROUP BY group_id)"
 query("group_profile", f"{CONNECTED}, {_PROFILE} SELECT group_id, n_records, n_names, n_phones, coalesce(n_urls, 0) AS n_urls, n_categories FROM pf LEFT JOIN ul USING (group_id)")(lambda spark, sf: B.group_profile(r := listings(spark, sf), B.connected_graph(r)))
 query("top5_groups", f"{CONNECTED}, {_PROFILE} SELECT group_id, n_records, n_names, n_phones, coalesce(n_urls, 0) AS n_urls, n_categories FROM pf LEFT JOIN ul USING (group_id) ORDER BY n_records DESC, group_id LIMIT 5")(lambda spark, sf: B.group_profile(r := listings(spark, sf), B.connected_graph(r)).orderBy(F.desc("n_records"), "group_id").limit(5))
@@ -356,7 +370,7 @@ def _sweep(view: str, variants: dict):
         runs = []
         for name, f in variants.items():
             if isinstance(f, Settings):
-                packed = packed or L.pack(r, C.find_cores(G.graph(r), 1))
+                packed = packed or L.pack(r, method_cores(r))
                 runs.append((name, L.assign(packed, f), r))
             else:
                 runs.append((name, f(r), r))
@@ -366,24 +380,24 @@ def _sweep(view: str, variants: dict):
 
 
 def _two(**settings):
-    return lambda r: L.two_stage(r, **({"k": 1} | settings))
+    return lambda r: L.two_stage(r, **settings)
 
 
 def _set(**changes) -> Settings:
     return Settings().but(**changes)
 
 
-METHODS = {"same_name": B.same_name, "connected_graph": B.connected_graph, "edge_partition": B.edge_partition, "edge_center": B.edge_star, "edge_merge": lambda r: B.edge_star(r, merge=True), "tfidf_two_stage": lambda r: B.tfidf_assign(r, B.agglomerative_cores(r)), "two_stage": Settings()}
+METHODS = {"same_name": lambda r: B.same_name(r, L.NAME), "same_name_exact": B.same_name, "connected_graph": B.connected_graph, "edge_partition": B.edge_partition, "edge_center": B.edge_star, "edge_merge": lambda r: B.edge_star(r, merge=True), "tfidf_two_stage": lambda r: B.tfidf_assign(r, B.agglomerative_cores(r)), "two_stage": Settings(), "two_stage_exact_k1": _two(k=1, threshold=None)}
 for _v in ("p1", "p2", "p3", "p4", "p4p", "p5"):
     query(f"overall_{_v}")(_sweep(_v, METHODS))
 query("ablation_stages")(_sweep("p1", {"both": Settings(), "core_only": _two(stages="core_only"), "cluster_only": _two(stages="cluster_only")}))
 query("ablation_core_strategy")(_sweep("p4p", {"full": Settings(), "screen_only": _two(strategy="screen_only"), "agglomerative": lambda r: L.cluster_elements(r, B.agglomerative_cores(r))}))
-query("ablation_edge_rule")(_sweep("p1", {"one_dominant": Settings(), "two_dominant": lambda r: L.cluster_elements(r, C.find_cores(G.two_dominant_cliques(G.value_rows(r)), 1)), "similarity": lambda r: L.cluster_elements(r, C.find_cores(B.record_pairs(r).where("sim > 0.8").select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), 1))}))
+query("ablation_edge_rule")(_sweep("p1", {"one_dominant": Settings(), "two_dominant": lambda r: L.cluster_elements(r, C.find_cores(G.two_dominant_cliques(G.value_rows(classed(r))), L.ROBUST)), "similarity": lambda r: L.cluster_elements(r, C.find_cores(B.record_pairs(classed(r)).where("sim > 0.8").select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), L.ROBUST))}))
 query("sweep_k")(_sweep("p1", {f"k{k}": _two(k=k) for k in range(5)}))
 query("sweep_p")(_sweep("p1", {f"p{p}": _set(p=p) for p in (0.8, 0.9, 1.0)}))
 query("sweep_theta")(_sweep("p1", {f"theta{t}": _set(theta=t) for t in (0.5, 0.6, 0.7)}))
-query("sweep_name")(_sweep("p1", {f"name{t}": _two(threshold=t) for t in (0.8, 0.9, 0.95)}))
-query("ablation_second_stage")(_sweep("p1", {"clustering": Settings(), "vote": lambda r: B.vote_assign(r, C.find_cores(G.graph(r), 1)), "tfidf": lambda r: B.tfidf_assign(r, C.find_cores(G.graph(r), 1))}))
+query("sweep_name")(_sweep("p1", {"exact": _two(threshold=None)} | {f"name{t}": _two(threshold=t) for t in (0.8, 0.9, 0.95)}))
+query("ablation_second_stage")(_sweep("p1", {"clustering": Settings(), "vote": lambda r: B.vote_assign(r, method_cores(r)), "tfidf": lambda r: B.tfidf_assign(r, method_cores(r))}))
 query("ablation_clustering")(_sweep("p1", {f"{i}_{a}": _set(init=i, adjust=a == "adjust") for i in ("greedy", "exhaustive") for a in ("adjust", "plain")}))
 query("ablation_value_weight")(_sweep("p1", {w: _set(value_weight=w) for w in ("popularity", "none")}))
 query("ablation_dominant")(_sweep("p1", {d: _set(dominant=d) for d in ("united", "separated")}))
@@ -392,10 +406,10 @@ query("ablation_presets")(_sweep("p1", {n: _set(weights=w) for n, w in PRESETS.i
 
 
 def _without(*columns):
-    return lambda r: L.two_stage(r.withColumns({c: F.lit(None).cast("string") for c in columns}), k=1)
+    return lambda r: L.two_stage(r.withColumns({c: F.lit(None).cast("string") for c in columns}))
 
 
-query("ablation_attributes")(_sweep("p4p", {"name": B.same_name, "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
+query("ablation_attributes")(_sweep("p4p", {"name": lambda r: B.same_name(r, L.NAME), "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
 
 
 @query("ladder_fifths")
@@ -412,6 +426,6 @@ def ladder_fifths(spark, sf):
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Groups of the random-chains view by the whole method."""
-    return L.two_stage(listings(spark, sf_dir, "p1"), k=1)
+    return L.two_stage(listings(spark, sf_dir, "p1"))
 
 

@@ -72,6 +72,14 @@ def test_worked_example_groups(spark):
     assert got[19] == 19 and got[20] == 20
 
 
+def test_method_takes_similar_names(spark, monkeypatch):
+    rows = [(1, "evergreen hardware", "5"), (2, "evergreen hardwares", "5"), (3, "evergreen hardware", "6")]
+    df = spark.createDataFrame([(*r, None, None, "XX", "c", 1) for r in rows], "rid long, name string, phone string, url string, url2 string, state string, category string, gold long")
+    monkeypatch.setattr(q, "listings", lambda *_: df)
+    assert {r.rid: r.group_id for r in q.QUERIES["core_only"](spark, SF).collect()} == {1: 1, 2: 1, 3: 3}
+    assert {r.group_id for r in q.QUERIES["same_name_95"](spark, SF).collect()} == {1}
+
+
 def test_plan_has_no_cartesian_product(spark):
     plan = G.v_cliques(G.value_rows(q.listings(spark, SF)))._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in plan
