@@ -49,11 +49,13 @@ def _strength(spread: Column, within: Column, units: Column, parents: Column, n:
 
 
 def host_reputation(labelled: DataFrame, z: float = Z) -> DataFrame:
-    """``labelled(host, bad)`` (bad 0/1; null rows are left out) -> host, domain, suffix, n, bad_rate, bound.
+    """``labelled(host, bad)`` (bad 0/1, null for pages without outcome) -> host, domain, suffix, n, bad_rate, bound.
 
-    Sums are pre-aggregated by host first, so a host with a third of all pages is one row afterwards.
+    Sums are pre-aggregated by host first, so a host with a third of all pages is one row afterwards. A host without
+    outcomes has the prior of its domain, else of its suffix, else the global one; without any outcome at all, nulls.
     """
-    h = with_domain(labelled.where("bad is not null").groupBy("host").agg(F.count("*").alias("n"), F.sum("bad").cast("long").alias("k")))
+    every = with_domain(labelled.groupBy("host").agg(F.count("bad").alias("n"), F.coalesce(F.sum("bad"), F.lit(0)).cast("long").alias("k")))
+    h = every.where("n > 0")
     d = h.groupBy("suffix", "domain").agg(F.sum("n").alias("dn"), F.sum("k").alias("dk"), F.sum(F.col("k") * F.col("k") / F.col("n")).alias("dss"), F.sum(F.col("n") * F.col("n")).alias("dsq"), F.count("*").alias("dh"))
     s = d.groupBy("suffix").agg(F.sum("dn").alias("sn"), F.sum("dk").alias("sk"))
     t = d.agg(F.sum("dn").alias("gn"), F.sum("dk").alias("gk"), F.sum("dss").alias("hss"), F.sum(F.col("dsq") / F.col("dn")).alias("hsq"), F.sum("dh").alias("nh"), F.sum(F.col("dk") * F.col("dk") / F.col("dn")).alias("ds"), F.count("*").alias("nd"))
@@ -66,11 +68,13 @@ def host_reputation(labelled: DataFrame, z: float = Z) -> DataFrame:
         _strength(F.col("ds"), F.col("ss"), F.col("nd"), F.col("ns"), F.col("gn"), F.col("dq"), p).alias("md"),
         _strength(F.col("hss"), F.col("ds"), F.col("nh"), F.col("nd"), F.col("gn"), F.col("hsq"), p).alias("mh"),
     )
-    by_domain = d.join(s, "suffix").crossJoin(F.broadcast(g)).withColumn("suffix_rate", (F.col("sk") + F.col("ms") * F.col("p0")) / (F.col("sn") + F.col("ms")))
-    by_domain = by_domain.select("suffix", "domain", "mh", ((F.col("dk") + F.col("md") * F.col("suffix_rate")) / (F.col("dn") + F.col("md"))).alias("domain_rate"))
-    a, b = F.col("k") + F.col("mh") * F.col("domain_rate"), F.col("n") - F.col("k") + F.col("mh") * (1 - F.col("domain_rate"))
+    by_suffix = s.crossJoin(F.broadcast(g)).select("suffix", "md", ((F.col("sk") + F.col("ms") * F.col("p0")) / (F.col("sn") + F.col("ms"))).alias("suffix_rate"))
+    by_domain = d.join(by_suffix, "suffix").select("suffix", "domain", ((F.col("dk") + F.col("md") * F.col("suffix_rate")) / (F.col("dn") + F.col("md"))).alias("domain_rate"))
+    known = every.join(by_domain, ["suffix", "domain"], "left").join(by_suffix.drop("md"), "suffix", "left").crossJoin(F.broadcast(g))
+    prior = F.coalesce("domain_rate", "suffix_rate", "p0")
+    a, b = F.col("k") + F.col("mh") * prior, F.col("n") - F.col("k") + F.col("mh") * (1 - prior)
     mean = a / (a + b)
-    return h.join(by_domain, ["suffix", "domain"]).select("host", "domain", "suffix", "n", mean.alias("bad_rate"), (mean - z * F.sqrt(a * b / ((a + b) * (a + b) * (a + b + 1)))).alias("bound"))
+    return known.select("host", "domain", "suffix", "n", mean.alias("bad_rate"), (mean - z * F.sqrt(a * b / ((a + b) * (a + b) * (a + b + 1)))).alias("bound"))
 
 
 def match_rule(host: Column, path: Column, rules=RULES) -> tuple[Column, Column]:
@@ -86,12 +90,12 @@ def judge_urls(pages: DataFrame, outcomes: DataFrame, rules=RULES, z: float = Z,
     """``pages(page_id, url)`` and ``outcomes(page_id, bad)`` -> page_id, host, path, rule, verdict, bad_bound.
 
     Rows stay one to one with ``pages`` (repeated ones too). A page with several outcomes counts its worst;
-    null ids never match an outcome. Hosts without any labelled page carry a null bound and are allowed.
+    null ids never match an outcome. Without any outcome, bounds are null and pages without rule are allowed.
     """
     host, path = split_url(F.col("url"))
     p = pages.select("page_id", host.alias("host"), path.alias("path"))
     seen = outcomes.groupBy("page_id").agg(F.max("bad").alias("bad"))
-    rep = host_reputation(p.join(seen, "page_id").select("host", "bad"), z).select("host", "bound")
+    rep = host_reputation(p.join(seen, "page_id", "left").select("host", "bad"), z).select("host", "bound")
     rule, verdict = match_rule(F.col("host"), F.col("path"), rules)
     own = F.when(F.col("bound") > max_bad, "block").otherwise("allow")
     return p.join(rep, "host", "left").select("page_id", "host", "path", rule.alias("rule"), F.coalesce(verdict, own).alias("verdict"), F.round("bound", 6).alias("bad_bound"))

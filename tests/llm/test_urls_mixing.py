@@ -61,6 +61,17 @@ def test_urls(spark):
     assert {(r.host.split(".")[0], r.verdict) for r in out.collect()} == {("bad", "block"), ("good", "allow")}
 
 
+def test_hosts_without_labels_inherit(spark):
+    labelled = [(i, f"http://h{i % 4}.{'bad' if i % 2 else 'good'}.com/", i % 2) for i in range(800)] + [(800 + i, f"http://h{i % 4}.site{i % 3}.org/", 1) for i in range(400)]
+    unseen = ["http://new.bad.com/", "http://new.good.com/", "http://a.other.org/", "http://a.other.com/", "http://a.b.info/"]
+    pages = [(i, u) for i, u, _ in labelled] + [(5000 + i, u) for i, u in enumerate(unseen)]
+    out = urls.judge_urls(spark.createDataFrame(pages, "page_id long, url string"), spark.createDataFrame([(i, b) for i, _, b in labelled], "page_id long, bad int"), rules=())
+    got = {r.page_id: r for r in out.collect()}
+    assert len(got) == len(pages) and all(got[5000 + i].bad_bound is not None for i in range(5))
+    assert [got[5000 + i].verdict for i in range(3)] == ["block", "allow", "block"]
+    assert got[5001].bad_bound < got[5003].bad_bound < got[5002].bad_bound and got[5001].bad_bound < got[5004].bad_bound < got[5000].bad_bound
+
+
 def brute_decontaminate(docs, bench, window=10):
     import re
 
