@@ -148,10 +148,10 @@ def vote_round(records: DataFrame, assigned: DataFrame, min_count: int = 5) -> D
     return votes.withColumn("at", F.row_number().over(W.Window.partitionBy("rid").orderBy(F.desc("votes"), "core"))).where("at = 1").select("rid", "core")
 
 
-def vote_assign(records: DataFrame, cores: DataFrame, min_count: int = 5, rounds: int = 10) -> DataFrame:
+def vote_assign(records: DataFrame, cores: DataFrame, min_count: int = 5) -> DataFrame:
     """Rounds of voting until nothing changes."""
     assigned = materialise(cores.select("rid", "core"), "assigned")
-    for _ in range(rounds):
+    while True:  # each round but the last assigns records
         more = materialise(vote_round(records, assigned, min_count), "votes")
         if more.isEmpty():
             break

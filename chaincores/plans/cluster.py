@@ -37,7 +37,6 @@ class Settings:
     weights: Weights = Weights()
     init: str = "greedy"
     adjust: bool = True
-    rounds: int = 60
 
     def but(self, **changes) -> Settings:
         return replace(self, **changes)
@@ -128,7 +127,16 @@ class Block:
         self.next = 0
         seen = Counter(k for e in elements if e.is_core for k in e.values if k[0] == "dom")
         self.shared = frozenset(k for k, n in seen.items() if n > 1)
-        self.holders: dict = {}  # value -> clusters that hold it or once did
+        self.holders: dict = {}  # value -> clusters that hold it
+        self.bearers: dict = {}  # value -> elements that have it
+        for e in elements:
+            for k in e.values:
+                self.bearers.setdefault(k, []).append(e.eid)
+        self.stamps, self.changes = {}, 0  # cluster -> number of its last change
+        self.sims: dict = {}  # eid -> cluster -> (stamp, similarity)
+        self.score: dict = {}  # eid -> (silhouette, nearest other cluster, similarity to own, to that one)
+        self.touched: dict = {}  # cluster -> its values and members before it changed
+        self.several: dict = {}  # common value -> whether several clusters held it before
 
     def new(self, members=()) -> int:
         c = self.next
@@ -138,26 +146,65 @@ class Block:
             self.put(e, c)
         return c
 
+    def _change(self, c: int) -> Cluster:
+        cl = self.clusters.setdefault(c, Cluster())
+        if c not in self.touched:
+            self.touched[c] = [k for k, n in cl.values.items() if n > 0], list(cl.members)
+        self.changes += 1
+        self.stamps[c] = self.changes
+        return cl
+
     def put(self, e: Element, c: int) -> None:
         old = self.of.get(e.eid)
+        if old == c:
+            return
+        for k in e.values:
+            self.several.setdefault(k, len(self.holders.get(k, ())) > 1)
         if old is not None:
-            self.clusters[old].remove(e)
-            if not self.clusters[old].members:
+            cl = self._change(old)
+            cl.remove(e)
+            for k in e.values:
+                if cl.values[k] <= 0:
+                    self.holders[k].discard(old)
+            if not cl.members:
                 del self.clusters[old]
-        self.clusters[c].add(e)
+        self._change(c).add(e)
         self.of[e.eid] = c
         for k in e.values:
             self.holders.setdefault(k, set()).add(c)
 
+    def refresh(self) -> dict:
+        """Score anew the elements whose similarities may have changed; eid -> score before."""
+        stale, keys = set(), set()
+        for c, (values, members) in self.touched.items():
+            stale.update(members)
+            keys.update(values)
+            if c in self.clusters:
+                stale.update(self.clusters[c].members)
+                keys.update(k for k, n in self.clusters[c].values.items() if n > 0)
+        for k in keys:
+            if k[0] == "dom" or (k[0] == "com" and k in self.several and self.several[k] != (len(self.holders.get(k, ())) > 1)):
+                stale.update(self.bearers[k])
+        self.touched, self.several = {}, {}
+        before = {eid: self.score.get(eid) for eid in stale}
+        for eid in stale:
+            self.score[eid] = self.rate(self.elements[eid])
+        return before
+
+    def like(self, e: Element, c: int) -> float:
+        known = self.sims.setdefault(e.eid, {})
+        if (got := known.get(c)) is None or got[0] != self.stamps[c]:
+            got = known[c] = self.stamps[c], similarity(e, self.clusters[c], self.s, self.shared)
+        return got[1]
+
     def near(self, e: Element) -> list[tuple[float, int]]:
         """Similarity to the clusters that share a dominant value with the element, best first."""
-        ids = {c for k in e.values if k[0] == "dom" for c in self.holders.get(k, ()) if c in self.clusters}
-        return sorted(((similarity(e, self.clusters[c], self.s, self.shared), c) for c in ids), key=lambda x: (-x[0], x[1]))
+        ids = {c for k in e.values if k[0] == "dom" for c in self.holders.get(k, ())}
+        return sorted(((self.like(e, c), c) for c in ids), key=lambda x: (-x[0], x[1]))
 
     def base(self, e: Element) -> float:
         """Similarity to a cluster that agrees on the common value alone, if there is another such cluster."""
-        own = self.of[e.eid]
-        if not any(k in self.outside for k in e.values if k[0] == "com") and not any(c != own and c in self.clusters and self.clusters[c].values[k] > 0 for k in e.values if k[0] == "com" for c in self.holders.get(k, ())):
+        if not any(k in self.outside or len(self.holders[k]) > 1 for k in e.values if k[0] == "com"):
             return 0.0
         wc, wd = self.s.weights.effective("com", 1.0), self.s.weights.effective("dom", 0.0)
         return wc / (wc + wd) if wc + wd else 0.0
@@ -182,70 +229,85 @@ class Block:
             best = [x for x in self.near(e) if x[1] in with_core]
             self.put(e, best[0][1]) if best and best[0][0] > self.s.start else self.new([e])
 
-    def scores(self) -> dict:
-        """eid -> (silhouette, nearest other cluster)."""
-        out = {}
-        for e in self.elements.values():
-            own = self.of[e.eid]
-            a = 1.0 if len(self.clusters[own].members) == 1 else similarity(e, self.clusters[own], self.s, self.shared)
-            other = [x for x in self.near(e) if x[1] != own]
-            b, at = other[0] if other else (0.0, None)
-            out[e.eid] = silhouette(a, max(b, self.base(e)), self.s.alpha, self.s.beta), at
-        return out
+    def rate(self, e: Element) -> tuple:
+        """(silhouette, nearest other cluster, similarity to the own cluster, to that one)."""
+        own = self.of[e.eid]
+        a = 1.0 if len(self.clusters[own].members) == 1 else self.like(e, own)
+        b, at = next((x for x in self.near(e) if x[1] != own), (0.0, None))
+        return silhouette(a, max(b, self.base(e)), self.s.alpha, self.s.beta), at, a, b
 
     def index(self) -> float:
-        sc = self.scores()
-        return sum(x for x, _ in sc.values()) / max(1, len(sc))
+        return sum(x[0] for x in self.score.values()) / max(1, len(self.score))
 
     def candidates(self) -> list[tuple[float, int, int, list]]:
         """(benefit, cluster, cluster, border elements), best first."""
         pairs: dict = {}
-        for eid, (x, at) in self.scores().items():
+        for eid, (x, at, _, _) in self.score.items():
             if at is not None and x <= self.s.border:
-                key = tuple(sorted((self.of[eid], at)))
-                got = pairs.setdefault(key, [0.0, []])
-                got[0] += 1 - x
-                got[1].append(eid)
-        return sorted(((b, *k, m) for k, (b, m) in pairs.items()), key=lambda x: (-x[0], x[1:3]))
-
-    def layout(self) -> dict:
-        return dict(self.of)
-
-    def restore(self, layout: dict) -> None:
-        self.clusters, self.of = {}, {}
-        for eid, c in layout.items():
-            self.clusters.setdefault(c, Cluster()).add(self.elements[eid])
-            self.of[eid] = c
-            for k in self.elements[eid].values:
-                self.holders.setdefault(k, set()).add(c)
-        self.next = max([self.next, *(c + 1 for c in self.clusters)])
+                pairs.setdefault(tuple(sorted((self.of[eid], at))), []).append(eid)
+        found = [(sum(1 - self.score[e][0] for e in sorted(m)), *k, sorted(m)) for k, m in pairs.items()]
+        return sorted(found, key=lambda x: (-x[0], x[1:3]))
+
+    def change(self, moves: list) -> tuple:
+        """Put elements into clusters, ``moves`` of (eid, cluster): (gain of the summed silhouettes, all valid, what undoes it)."""
+        was = [(eid, self.of[eid]) for eid, _ in moves]
+        at = {c: self.stamps[c] for c in {c for x in (was, moves) for _, c in x} if c in self.stamps}
+        for eid, c in moves:
+            self.put(self.elements[eid], c)
+        valid = all(self.clusters[c].valid() for c in self.touched if c in self.clusters)
+        before = self.refresh()
+        return sum(self.score[e][0] - x[0] for e, x in sorted(before.items())), valid, (was, at, before)
+
+    def undo(self, was: list, at: dict, before: dict) -> None:
+        for eid, c in reversed(was):
+            self.put(self.elements[eid], c)
+        self.stamps.update(at)
+        self.score.update(before)
+        self.touched, self.several = {}, {}
+
+    def settle(self, relevant) -> None:
+        """Move elements that are more similar to another cluster there, as long as the index rises by it."""
+        todo = set(relevant)
+        while todo:
+            eid = min(todo)
+            todo.discard(eid)
+            _, at, a, b = self.score[eid]
+            if at is None or b <= a:
+                continue
+            gain, valid, back = self.change([(eid, at)])
+            if valid and gain > self.least:
+                todo.update(back[2])
+            else:
+                self.undo(*back)
+
+    @property
+    def least(self) -> float:
+        """A smaller gain is rounding."""
+        return 1e-12 * max(1, len(self.elements))
 
     def adjust(self) -> None:
-        """Re-cluster candidate pairs while the index rises."""
-        now, tried = self.index(), set()
-        for _ in range(self.s.rounds):
-            todo = [x for x in self.candidates() if (x[1], x[2], tuple(sorted(x[3]))) not in tried]
-            if not todo:
+        """Re-cluster candidate pairs while the index rises, until no pair is left that was not tried as it is."""
+        self.refresh()
+        tried: set = set()
+        while True:
+            key = lambda x: (self.stamps[x[1]], self.stamps[x[2]], tuple(x[3]))
+            todo = next((x for x in self.candidates() if key(x) not in tried), None)
+            if todo is None:
                 return
-            _, c1, c2, border = todo[0]
-            tried.add((c1, c2, tuple(sorted(border))))
-            before, best = self.layout(), None
-            both = [e for e in before if before[e] in (c1, c2)]
-            for plan in range(4):
-                self.restore(before)
-                if plan < 3:
-                    for e in both if plan == 0 else border:
-                        to = c2 if plan == 2 else c1
-                        if self.of[e] != to and to in self.clusters:
-                            self.put(self.elements[e], to)
-                else:
-                    self.new([self.elements[e] for e in border])
-                if all(c.valid() for c in self.clusters.values()) and (i := self.index()) > now + 1e-12 and (best is None or i > best[0]):
-                    best = i, self.layout()
-            self.restore(before)
+            tried.add(key(todo))
+            _, c1, c2, border = todo
+            both = sorted([*self.clusters[c1].members, *self.clusters[c2].members])
+            out = self.next
+            self.next += 1
+            best = None
+            for part, to in ((both, c1), (border, c1), (border, c2), (border, out)):
+                moves = [(e, to) for e in part if self.of[e] != to]
+                gain, valid, back = self.change(moves)
+                self.undo(*back)
+                if valid and gain > self.least and (best is None or gain > best[0] + self.least):
+                    best = gain, moves
             if best:
-                now = best[0]
-                self.restore(best[1])
+                self.settle(self.change(best[1])[2][2])
 
 
 def cluster_block(elements: list[Element], s: Settings, outside: frozenset = frozenset()) -> dict:

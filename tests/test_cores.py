@@ -2,7 +2,7 @@ import random
 from itertools import combinations
 
 from chaincores.plans import robust
-from chaincores.plans.cluster import Cluster, Element, Settings, Weights, cluster_block, silhouette, similarity
+from chaincores.plans.cluster import Block, Cluster, Element, Settings, Weights, cluster_block, silhouette, similarity
 
 FX1 = [{1, 2, 3, 4, 5}, {3, 4, 5, 6, 7}, {11, 12, 13}, {12, 13, 14, 15}, {13, 16, 17, 18}]
 
@@ -77,3 +77,37 @@ def test_clusters_of_a_block():
         for adjust in (False, True):
             got = cluster_block(es, Settings(init=init, adjust=adjust))
             assert got[1] == got[8] == got[9] == 1 and got[30] == 30 and got[31] == 31
+
+
+def test_every_candidate_pair_is_adjusted():
+    es = [element(i, [f"p{i // 2}"], [f"u{i // 2}"], core=True) for i in range(160)]
+    got = cluster_block(es, Settings())
+    assert all(got[i] == i - i % 2 for i in range(160))
+
+
+def test_elements_move_after_a_change():
+    es = [element(1, ["a"], ["x"], core=True), element(2, ["b"], ["y"], core=True), element(3, ["b"], ["y"]), element(4, ["a"])]
+    b = Block(es, Settings())
+    a, c = b.new([es[0], es[3]]), b.new([es[1]])
+    b.put(es[2], a)
+    b.refresh()
+    now = b.index()
+    b.settle([1, 2, 3, 4])
+    assert b.of[3] == c and b.of[4] == a and b.index() > now
+
+
+def test_scores_after_changes_equal_fresh_ones():
+    rng = random.Random(5)
+    for _ in range(40):
+        es = [element(i, [f"p{rng.randrange(5)}"], [f"u{rng.randrange(5)}"], core=rng.random() < 0.6, name=f"n{rng.randrange(3)}") for i in range(14)]
+        b = Block(es, Settings())
+        b.initialise()
+        b.refresh()
+        before = b.index()
+        b.adjust()
+        fresh = Block(es, Settings())
+        for c in sorted(b.clusters):
+            fresh.new(list(b.clusters[c].members.values()))
+        fresh.refresh()
+        assert abs(b.index() - fresh.index()) < 1e-9 and b.index() >= before - 1e-9
+        assert all(c.valid() for c in b.clusters.values())
