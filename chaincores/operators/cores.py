@@ -11,8 +11,8 @@ from ..session import materialise
 from .components import components
 from .graph import overlaps, record_components, simplify
 
-#: Incidence rows of a component that one task solves; larger ones are screened as DataFrames first.
-LOCAL_LIMIT, ROUNDS = 100_000, 20
+#: Index rows of a component (simplified where the strategy is) beyond which it is screened as DataFrames first.
+LOCAL_LIMIT = 100_000
 
 
 def v_unions(incidence: DataFrame, k: int) -> DataFrame:
@@ -49,8 +49,9 @@ def screen_round(incidence: DataFrame, k: int, guard: bool = True) -> tuple[Data
 def find_cores(incidence: DataFrame, k: int = 2, strategy: str = "full", guard: bool = True, local_limit: int = LOCAL_LIMIT, metrics: bool = False) -> DataFrame:
     """``incidence(rid, clique)`` -> rid, core (smallest rid of the core); with ``metrics`` counters per component.
 
-    Records outside any core don't appear. A component beyond ``local_limit`` rows is screened in distributed rounds until
-    its pieces fit; one that screening leaves whole raises rather than give an approximation.
+    Records outside any core don't appear. At k = 0 cores are the components. A component beyond ``local_limit`` rows is a
+    core if it is one union of cliques; others are screened in distributed rounds while that removes records. What is
+    left is solved exactly in one task per component, whatever its size.
     """
     simple = robust.STRATEGIES[strategy][0]
 
@@ -63,28 +64,38 @@ def find_cores(incidence: DataFrame, k: int = 2, strategy: str = "full", guard:
             return pd.DataFrame([{"comp": pdf["comp"].iloc[0], "nodes": len(weight), "cores": len(got), **m}])
         return pd.DataFrame([(n, min(c)) for c in got for n in c], columns=["node", "core"])
 
-    incidence = materialise(incidence, "incidence")
-    for _ in range(ROUNDS):
+    if k == 0 and not metrics:
         comps = materialise(record_components(incidence), "comps")
-        labelled = incidence.join(comps, "rid")
-        big = labelled.groupBy("comp").count().where(F.col("count") > local_limit).select("comp")
-        big = materialise(big, "giants")
+        linked = comps.groupBy("comp").count().where("count > 1").select("comp")
+        return comps.join(linked, "comp").select("rid", F.col("comp").alias("core"))
+    incidence, whole = materialise(incidence, "incidence"), None
+    while True:
+        comps = materialise(record_components(incidence), "comps")
+        if simple:
+            nodes, members = simplify(incidence)
+            rows = nodes.select("node", "weight", F.explode("cliques").alias("clique"))
+        else:
+            rows, members = incidence.select(F.col("rid").alias("node"), F.lit(1).cast("long").alias("weight"), "clique"), None
+        rows = materialise(rows.join(comps.withColumnRenamed("rid", "node"), "node"), "rows")
+        big = materialise(rows.groupBy("comp").count().where(F.col("count") > local_limit).select("comp"), "giants")
         if big.isEmpty():
             break
-        giant = labelled.join(big, "comp").select("rid", "clique")
-        rest, gone = screen_round(giant, k, guard)
-        if gone.isEmpty():
-            raise RuntimeError(f"a component of more than {local_limit} rows is not split by screening; raise local_limit")
+        labelled = incidence.join(comps, "rid")
+        giant = materialise(labelled.join(big, "comp").select("rid", "clique", "comp"), "giant")
+        one = None
+        if not metrics:
+            # a component of one union holds together without any border
+            of = giant.join(v_unions(giant.select("rid", "clique"), k), "clique").groupBy("comp").agg(F.countDistinct("union").alias("n"), F.countDistinct("rid").alias("m"))
+            one = materialise(of.where("n = 1 and m > 1").select("comp"), "single")
+            found = materialise(giant.join(one, "comp").select("rid", F.col("comp").alias("core")).distinct(), "whole")
+            whole = found if whole is None else whole.unionByName(found)
+            giant = giant.join(one, "comp", "left_anti")
+        rest, gone = screen_round(giant.select("rid", "clique"), k, guard)
+        if gone.isEmpty() and (one is None or one.isEmpty()):
+            break
         incidence = materialise(labelled.join(big, "comp", "left_anti").select("rid", "clique").unionByName(rest), "incidence")
-    else:
-        raise RuntimeError("screening did not settle")
-    if simple:
-        nodes, members = simplify(incidence)
-        rows = nodes.select("node", "weight", F.explode("cliques").alias("clique"))
-    else:
-        rows, members = incidence.select(F.col("rid").alias("node"), F.lit(1).cast("long").alias("weight"), "clique"), None
-    rows = rows.join(comps.withColumnRenamed("rid", "node"), "node")
     if metrics:
         return rows.groupBy("comp").applyInPandas(local, "comp long, nodes long, cores long, screens long, splits long, largest_screen long, largest_split long")
     found = rows.groupBy("comp").applyInPandas(local, "node long, core long")
-    return found.withColumnRenamed("node", "rid") if members is None else members.join(found, "node").select("rid", "core")
+    found = found.withColumnRenamed("node", "rid") if members is None else members.join(found, "node").select("rid", "core")
+    return found if whole is None else found.unionByName(whole)

@@ -62,6 +62,15 @@ def test_distributed_screening_equals_local(spark):
         assert got == want
 
 
+def test_components_beyond_the_limit(spark):
+    k33 = [(100 + x, f"{i}-{j}") for i in range(3) for j in range(3, 6) for x in (i, j)]
+    chain = [(n, f"c{n // 2}") for n in range(200, 212)] + [(n, f"d{n // 2}") for n in range(201, 211, 2)] + [(n + 1, f"d{n // 2}") for n in range(201, 211, 2)]
+    i = spark.createDataFrame([(n, "hot") for n in range(50)] + k33 + chain, "rid long, clique string")
+    cores = lambda k, limit: {tuple(r) for r in C.find_cores(i, k, local_limit=limit).collect()}
+    assert cores(0, 1) == {(n, 0) for n in range(50)} | {(100 + n, 100) for n in range(6)} | {(n, 200) for n in range(200, 212)}
+    assert cores(2, 0) == cores(2, 1000) >= {(n, 0) for n in range(50)} | {(100 + n, 100) for n in range(6)}
+
+
 def test_worked_example_groups(spark):
     rows = [(i, "oak", "808" if i <= 5 else str(95 + i), "oak" if i >= 3 else None) for i in range(1, 8)]
     rows += [(11, "corn", None, "corn"), (12, "corn", "900", "corn"), (13, "corn", "900", "corn"), (14, "corn", "900", None), (15, "corn", "900", None), (16, "corn", "701", "south"), (17, "corn", "702", "south"), (18, "corn", "703", "south"), (19, "corn", "704", None), (20, "corn", None, "north")]
