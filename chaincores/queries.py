@@ -12,7 +12,7 @@ from .operators import graph as G
 from .operators import linkage as L
 from .plans.cluster import PRESETS, Settings
 from .session import materialise
-from .sources.planted import VIEWS, listings, listings_sql
+from .sources.planted import VIEWS, WHOLE, listings, listings_sql
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -232,7 +232,7 @@ query("agglomerative_cores")(lambda spark, sf: B.agglomerative_cores(listings(sp
 @query("cores_ladder_equal")
 def cores_ladder_equal(spark, sf):
     """Strategies of the speed ladder against ``full``: records per strategy and those that differ (none)."""
-    i = G.graph(listings(spark, sf, "p3"))
+    i = G.graph(listings(spark, sf, "p3_all"))
     full = materialise(C.find_cores(i, 2), "full")
     out = None
     for s in ("index", "sindex", "union", "full"):
@@ -309,9 +309,9 @@ query("block_stats", f"WITH {ctes()}, n AS (SELECT name, count(*) AS n FROM r GR
 
 # --- clustering ----------------------------------------------------------------------------------------------------
 
-for _v in ("p1", "p2", "p3", "p4", "p4p", "p5"):
-    query(f"two_stage_{_v}")(lambda spark, sf, v=_v: L.two_stage(listings(spark, sf, v)))
-    query(f"two_stage_{_v}_exact_k1")(lambda spark, sf, v=_v: L.two_stage(listings(spark, sf, v), k=1, threshold=None))
+for _v, _all in WHOLE.items():
+    query(f"two_stage_{_v}")(lambda spark, sf, v=_all: L.two_stage(listings(spark, sf, v)))
+    query(f"two_stage_{_v}_exact_k1")(lambda spark, sf, v=_all: L.two_stage(listings(spark, sf, v), k=1, threshold=None))
 query("core_only")(lambda spark, sf: L.two_stage(listings(spark, sf), stages="core_only"))
 query("cluster_only")(lambda spark, sf: L.two_stage(listings(spark, sf), stages="cluster_only"))
 for _i in ("greedy", "exhaustive"):
@@ -388,10 +388,10 @@ def _set(**changes) -> Settings:
 
 
 METHODS = {"same_name": lambda r: B.same_name(r, L.NAME), "same_name_exact": B.same_name, "connected_graph": B.connected_graph, "edge_partition": B.edge_partition, "edge_center": B.edge_star, "edge_merge": lambda r: B.edge_star(r, merge=True), "tfidf_two_stage": lambda r: B.tfidf_assign(r, B.agglomerative_cores(r)), "two_stage": Settings(), "two_stage_exact_k1": _two(k=1, threshold=None)}
-for _v in ("p1", "p2", "p3", "p4", "p4p", "p5"):
-    query(f"overall_{_v}")(_sweep(_v, METHODS))
+for _v, _all in WHOLE.items():
+    query(f"overall_{_v}")(_sweep(_all, METHODS))
 query("ablation_stages")(_sweep("p1", {"both": Settings(), "core_only": _two(stages="core_only"), "cluster_only": _two(stages="cluster_only")}))
-query("ablation_core_strategy")(_sweep("p4p", {"full": Settings(), "screen_only": _two(strategy="screen_only"), "agglomerative": lambda r: L.cluster_elements(r, B.agglomerative_cores(r))}))
+query("ablation_core_strategy")(_sweep("p4p_all", {"full": Settings(), "screen_only": _two(strategy="screen_only"), "agglomerative": lambda r: L.cluster_elements(r, B.agglomerative_cores(r))}))
 query("ablation_edge_rule")(_sweep("p1", {"one_dominant": Settings(), "two_dominant": lambda r: L.cluster_elements(r, C.find_cores(G.two_dominant_cliques(G.value_rows(classed(r))), L.ROBUST)), "similarity": lambda r: L.cluster_elements(r, C.find_cores(B.record_pairs(classed(r)).where("sim > 0.8").select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), L.ROBUST))}))
 query("sweep_k")(_sweep("p1", {f"k{k}": _two(k=k) for k in range(5)}))
 query("sweep_p")(_sweep("p1", {f"p{p}": _set(p=p) for p in (0.8, 0.9, 1.0)}))
@@ -409,7 +409,7 @@ def _without(*columns):
     return lambda r: L.two_stage(r.withColumns({c: F.lit(None).cast("string") for c in columns}))
 
 
-query("ablation_attributes")(_sweep("p4p", {"name": lambda r: B.same_name(r, L.NAME), "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
+query("ablation_attributes")(_sweep("p4p_all", {"name": lambda r: B.same_name(r, L.NAME), "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
 
 
 @query("ladder_fifths")

@@ -31,6 +31,9 @@ class Dialect:
 def _rows(view: str, d: Dialect, n: str) -> str:
     """rid, gold, name, phone, url, url2 of a view; n is the number of customers (or orders) as SQL."""
     h, t = d.h, d.text
+    view, whole = view.removesuffix("_all"), view.endswith("_all")
+    few, some = ("", "") if whole else (" where c_custkey % 5 = 0", " where c_custkey % 5 < 2")
+    nine, fourteen = (45, 35) if whole else (9, 14)  # chains grow with the rows
     div = "div" if d.spark else "//"
     if view in ("p1", "n2"):
         base, key = ("customer", "c_custkey") if view == "p1" else ("orders", "o_orderkey")
@@ -54,8 +57,8 @@ def _rows(view: str, d: Dialect, n: str) -> str:
         select rid, case when single then -rid - 1 else chain end as gold, 'same name' as name,
           case when {h('rid', 'p')} % 100 < 10 then null when single or {h('rid', 'p')} % 100 >= 60 then {t('local', 'rid')} else {t('main', 'chain')} end as phone,
           case when {h('rid', 'r')} % 100 < 20 then null when single then {t('site', '1000000 + rid')} else {t('site', 'chain')} end as url,
-          case when not single and {h('rid', 'x')} % ({n} {div} 45) = 0 then {t('site', '(chain + 1) % 9')} end as url2
-        from (select c_custkey as rid, {h('c_custkey', 's')} % 1000 < 16 as single, {h('c_custkey', 'c')} % 9 as chain from customer where c_custkey % 5 = 0) b"""
+          case when not single and {h('rid', 'x')} % ({n} {div} 45) = 0 then {t('site', f'(chain + 1) % {nine}')} end as url2
+        from (select c_custkey as rid, {h('c_custkey', 's')} % 1000 < 16 as single, {h('c_custkey', 'c')} % {nine} as chain from customer{few}) b"""
     if view in ("p4", "p4p"):
         fixed = view == "p4p"
         return f"""
@@ -63,8 +66,8 @@ def _rows(view: str, d: Dialect, n: str) -> str:
           case when {h('rid', 'p')} % 100 < 20 then null when {h('rid', 'p')} % 100 < 70 then {t('main', 'chain')} else {t('local', 'rid')} end as phone,
           case when bad and not ({'true' if fixed else 'false'}) and not kept then 'wrongsite' else {t('site', 'chain')} end as url,
           case when bad and kept and not ({'true' if fixed else 'false'}) then 'wrongsite' end as url2
-        from (select c_custkey as rid, {h('c_custkey', 'c')} % 14 as chain, {h('c_custkey', 'b')} % 1149 < 708 as bad,
-          {h('c_custkey', 'c')} % 14 = 0 or {h('c_custkey', 'y')} % ((2 * {n}) {div} 70) = 0 as kept from customer where c_custkey % 5 < 2) b"""
+        from (select c_custkey as rid, {h('c_custkey', 'c')} % {fourteen} as chain, {h('c_custkey', 'b')} % 1149 < 708 as bad,
+          {h('c_custkey', 'c')} % {fourteen} = 0 or {h('c_custkey', 'y')} % ((2 * {n}) {div} 70) = 0 as kept from customer{some}) b"""
     if view == "p5":
         base = d.name("i", "inst")
         return f"""
@@ -73,11 +76,13 @@ def _rows(view: str, d: Dialect, n: str) -> str:
           case when {h('rid', 'p')} % 100 < 25 then null when single then {t('prefix', '1000000 + rid')} else {t('prefix', 'inst')} end as phone,
           case when {h('rid', 'r')} % 100 < 15 then null when single or {h('rid', 'r')} % 100 >= 90 then 'freemail' else {t('server', 'inst')} end as url,
           cast(null as {'string' if d.spark else 'varchar'}) as url2
-        from (select c_custkey as rid, {h('c_custkey', 's')} % 100 < 27 as single, {h('c_custkey', 'c')} % greatest(1, ({n} * 2 {div} 5) * 71 {div} 590) as inst from customer where c_custkey % 5 < 2) b"""
+        from (select c_custkey as rid, {h('c_custkey', 's')} % 100 < 27 as single, {h('c_custkey', 'c')} % greatest(1, {f'{n}' if whole else f'({n} * 2 {div} 5)'} * 71 {div} 590) as inst from customer{some}) b"""
     raise ValueError(view)
 
 
-VIEWS = ("p1", "p2", "p3", "p4", "p4p", "p5", "n2")
+#: The ``_all`` views have all customer rows, with chains in proportion.
+VIEWS = ("p1", "p2", "p3", "p4", "p4p", "p5", "n2", "p3_all", "p4_all", "p4p_all", "p5_all")
+WHOLE = {"p1": "p1", "p2": "p2", "p3": "p3_all", "p4": "p4_all", "p4p": "p4p_all", "p5": "p5_all"}
 
 
 def view_sql(view: str, spark: bool, n: str, parts: str) -> str:

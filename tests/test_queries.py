@@ -81,6 +81,14 @@ def test_worked_example_groups(spark):
     assert got[19] == 19 and got[20] == 20
 
 
+@pytest.mark.parametrize("view", ["p3_all", "p4_all", "p4p_all", "p5_all"])
+def test_whole_views(spark, duck, view):
+    got = q.listings(spark, SF, view).collect()
+    assert len(got) == duck.execute("select count(*) from customer").fetchone()[0]
+    assert sorted(map(repr, map(tuple, got))) == sorted(map(repr, duck.execute(__spark_entry__.oracle_sql()[f"{view}_listings"]).fetchall()))
+    assert q.WHOLE[view.removesuffix("_all")] == view
+
+
 def test_method_takes_similar_names(spark, monkeypatch):
     rows = [(1, "evergreen hardware", "5"), (2, "evergreen hardwares", "5"), (3, "evergreen hardware", "6")]
     df = spark.createDataFrame([(*r, None, None, "XX", "c", 1) for r in rows], "rid long, name string, phone string, url string, url2 string, state string, category string, gold long")
