@@ -19,15 +19,13 @@ def value_rows(records: DataFrame, dominant=DOMINANT) -> DataFrame:
     return v.where("value is not null and trim(value) <> ''").distinct()
 
 
-def name_classes(names: DataFrame, threshold: float | None = None) -> DataFrame:
-    """``names(name)`` -> name, class: exact (class = name), or the transitive closure of similarity above the threshold.
+def similar_pairs(names: DataFrame, threshold: float) -> DataFrame:
+    """``names(name)`` -> a < b, sim: all distinct names whose similarity is above the threshold.
 
     Two names above the threshold share enough characters (with repetitions) that one of the rarest of each is common:
     candidates meet on these, and are compared only if their bags overlap enough.
     """
     distinct = names.where("name is not null").select("name").distinct()
-    if threshold is None:
-        return distinct.select("name", F.col("name").alias("class"))
     jaro = max(0.0, (threshold - 0.4) / 0.6)  # a prefix of four is worth four tenths of the rest
     need = max(0.0, 3 * jaro - 1)  # m/|a| + m/|b| at least
     n = distinct.select("name", character_bag(F.col("name")).alias("bag"))
@@ -37,8 +35,15 @@ def name_classes(names: DataFrame, threshold: float | None = None) -> DataFrame:
     a, b = keyed.withColumnsRenamed({"name": "a", "bag": "x", "n": "na"}), keyed.withColumnsRenamed({"name": "b", "bag": "y", "n": "nb"})
     m = F.size(F.array_intersect("x", "y"))
     pairs = a.join(b, "t").where("a < b").where(m / F.col("na") + m / F.col("nb") >= need - 1e-9).select("a", "b").distinct()
-    near = pairs.where(jaro_winkler_udf(F.col("a"), F.col("b")) > threshold)
-    found = components(near)
+    return pairs.withColumn("sim", jaro_winkler_udf(F.col("a"), F.col("b"))).where(F.col("sim") > threshold)
+
+
+def name_classes(names: DataFrame, threshold: float | None = None) -> DataFrame:
+    """``names(name)`` -> name, class: exact (class = name), or the transitive closure of similarity above the threshold."""
+    distinct = names.where("name is not null").select("name").distinct()
+    if threshold is None:
+        return distinct.select("name", F.col("name").alias("class"))
+    found = components(similar_pairs(names, threshold))
     return distinct.join(found, distinct.name == found.node, "left").select("name", F.coalesce("comp", "name").alias("class"))
 
 

@@ -120,6 +120,14 @@ def jaro_winkler_names(spark, sf):
     return pairs.select("a", "b", F.round(jaro_winkler_udf(F.col("a"), F.col("b")), 6).alias("sim"))
 
 
+def _above(names: str, t: float) -> str:
+    return f"SELECT a.name AS a, b.name AS b, round(jaro_winkler_similarity(a.name, b.name), 6) AS sim FROM {names} a JOIN {names} b ON a.name < b.name AND jaro_winkler_similarity(a.name, b.name) > {t}"
+
+
+query("jaro_winkler_names_80", f"WITH {ctes()}, d AS (SELECT DISTINCT name FROM r WHERE name IS NOT NULL) {_above('d', 0.8)}")(lambda spark, sf: G.similar_pairs(listings(spark, sf), 0.8).withColumn("sim", F.round("sim", 6)))
+query("jaro_winkler_parts_80", f"WITH d AS (SELECT DISTINCT p_name AS name FROM part WHERE p_name IS NOT NULL) {_above('d', 0.8)}")(lambda spark, sf: G.similar_pairs(table(spark, sf, "part").select(F.col("p_name").alias("name")), 0.8).withColumn("sim", F.round("sim", 6)))
+
+
 @query("v_cliques_p1", f"{BASE} SELECT rid, clique FROM c")
 def v_cliques_p1(spark, sf):
     return G.v_cliques(G.value_rows(listings(spark, sf)))

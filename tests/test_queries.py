@@ -81,6 +81,18 @@ def test_worked_example_groups(spark):
     assert got[19] == 19 and got[20] == 20
 
 
+@pytest.mark.parametrize("name", ["jaro_winkler_names_80", "jaro_winkler_parts_80"])
+def test_all_similar_pairs(spark, duck, name):
+    got = sorted(repr((r.a, r.b, plain(r.sim))) for r in __spark_entry__.queries()[name](spark, SF).collect())
+    assert got == sorted(repr((a, b, plain(s))) for a, b, s in duck.execute(__spark_entry__.oracle_sql()[name]).fetchall())
+    print(name, len(got), "pairs, other first three letters:", sum(eval(x)[0][:3] != eval(x)[1][:3] for x in got))
+
+
+def test_similar_pairs_differ_in_first_letters(spark):
+    df = spark.createDataFrame([("oak tools store",), ("eak tools store",), ("corn house",)], "name string")
+    assert [(r.a, r.b) for r in G.similar_pairs(df, 0.8).collect()] == [("eak tools store", "oak tools store")]
+
+
 @pytest.mark.parametrize("view", ["p3_all", "p4_all", "p4p_all", "p5_all"])
 def test_whole_views(spark, duck, view):
     got = q.listings(spark, SF, view).collect()
