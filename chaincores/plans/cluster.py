@@ -21,7 +21,7 @@ class Weights:
         return sim * agree + (1 - sim) * differ
 
 
-PRESETS = {"learned": Weights(), "three_equal": Weights((1 / 3, 1 / 3), (1 / 3, 1 / 3), 1 / 6, mode="single"), "two_equal": Weights((0.5, 0.5), (0.5, 0.5), 0.1, mode="single")}
+PRESETS = {"fixed": Weights(), "three_equal": Weights((1 / 3, 1 / 3), (1 / 3, 1 / 3), 1 / 6, mode="single"), "two_equal": Weights((0.5, 0.5), (0.5, 0.5), 0.1, mode="single")}
 
 
 @dataclass(frozen=True)

@@ -10,7 +10,7 @@ from .operators import baselines as B
 from .operators import cores as C
 from .operators import graph as G
 from .operators import linkage as L
-from .plans.cluster import PRESETS, Settings
+from .plans.cluster import PRESETS, Settings, Weights
 from .session import materialise
 from .sources.planted import VIEWS, WHOLE, listings, listings_sql
 
@@ -41,6 +41,13 @@ def method_cores(r: DataFrame) -> DataFrame:
     return C.find_cores(G.graph(r, L.NAME), L.ROBUST)
 
 
+def learned(r: DataFrame) -> Weights:
+    """Agreement and disagreement weights learned from the labels of the records; a rate without any pair keeps its default."""
+    fixed, found = Weights(), {x.role: (x.agree, x.differ) for x in L.learn_weights(r, gold(r)).collect()}  # two rows
+    pair = lambda role: tuple(d if x is None else x for x, d in zip(found.get(role, (None, None)), getattr(fixed, role), strict=True))
+    return Weights(com=pair("com"), dom=pair("dom"))
+
+
 def classed(r: DataFrame) -> DataFrame:
     """Records under the name of their class, for edge rules that compare names by equality."""
     return r.join(G.name_classes(r, L.NAME), "name").withColumn("name", F.col("class")).drop("class")
@@ -410,7 +417,7 @@ query("ablation_clustering")(_sweep("p1", {f"{i}_{a}": _set(init=i, adjust=a ==
 query("ablation_value_weight")(_sweep("p1", {w: _set(value_weight=w) for w in ("popularity", "none")}))
 query("ablation_dominant")(_sweep("p1", {d: _set(dominant=d) for d in ("united", "separated")}))
 query("ablation_weights")(_sweep("p1", {m: _set(weights=Settings().weights.__class__(mode=m)) for m in ("double", "single")}))
-query("ablation_presets")(_sweep("p1", {n: _set(weights=w) for n, w in PRESETS.items()}))
+query("ablation_presets")(_sweep("p1", {"learned": lambda r: L.cluster_elements(r, method_cores(r), _set(weights=learned(r)))} | {n: _set(weights=w) for n, w in PRESETS.items()}))
 
 
 def _without(*columns):

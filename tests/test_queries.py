@@ -88,6 +88,13 @@ def test_all_similar_pairs(spark, duck, name):
     print(name, len(got), "pairs, other first three letters:", sum(eval(x)[0][:3] != eval(x)[1][:3] for x in got))
 
 
+def test_learned_weights_come_from_labels(spark):
+    rows = [(1, "abcd", "5", 1), (2, "abcd", "5", 1), (3, "abcd", "6", 2), (4, "abcde", "7", 3)]
+    df = spark.createDataFrame([(i, n, p, None, g) for i, n, p, g in rows], "rid long, name string, phone string, url string, gold long")
+    w = q.learned(df)
+    assert w.com == (1 / 3, 1.0) and w.dom == (1.0, 1.0)
+
+
 def test_similar_pairs_differ_in_first_letters(spark):
     df = spark.createDataFrame([("oak tools store",), ("eak tools store",), ("corn house",)], "name string")
     assert [(r.a, r.b) for r in G.similar_pairs(df, 0.8).collect()] == [("eak tools store", "oak tools store")]
