@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from chaincores.llm import simhash, tokens
+from chaincores.llm import queries, simhash, tokens
 from chaincores.llm.queries import tokenizer_file
 
 MODEL = tokenizer_file("piece_bpe_32k.model")
@@ -17,15 +17,39 @@ def direct(texts):
     return [len(x) for x in sentencepiece.SentencePieceProcessor(model_file=MODEL).encode(list(texts))]
 
 
-def test_transducer_equals_library():
+def test_transducer_equals_library(monkeypatch):
     rng = random.Random(1)
     texts = TEXTS + ["".join(rng.choice(["a", "the", " ", "  ", "\n", "é", "▁", "\r", ";", "字", "\t", "in"]) for _ in range(rng.randrange(40))) for _ in range(1500)]
     t = tokens.Transducer(MODEL)
-    raw = [x.encode() for x in texts]
-    assert t.count_many(raw).tolist() == direct(texts)
-    for size in (1, 3, 7):  # chunk maps compose wherever the cut falls between characters
-        sample = [x for x in raw if x.isascii()]
-        assert [t.count(x, size) for x in sample] == direct([x.decode() for x in sample])
+    raw, want = [x.encode() for x in texts], direct(texts)
+    assert t.count_many(raw).tolist() == want
+    monkeypatch.setattr(tokens, "HEAD", 4)
+    for size in (1, 3, 7, 50):  # chunk maps compose wherever the cut falls
+        assert [t.count(x, size) for x in raw] == want
+    monkeypatch.setattr(tokens, "STATES", 10)
+    assert t.count_many(raw).tolist() == want  # started anew
+
+
+def test_prefix_scan_counts_every_prefix(monkeypatch):
+    monkeypatch.setattr(tokens, "HEAD", 3)
+    t = tokens.Transducer(MODEL)
+    for text in ["the cat sat on the mat " * 9, "x" * 200, "aaaaéa" * 30]:
+        chunks = list(tokens.pieces(text.encode(), 17))
+        got = [t.follow(t.keys[0], m)[1] for m in t.scan([t.map(c) for c in chunks])]
+        assert got == [t.run("".join(chunks[: i + 1]))[1] for i in range(len(chunks))]
+        assert got[-1] == direct([text])[0]
+
+
+def test_long_texts_are_dealt_out(spark):
+    rows = [(1, "the cat\nsat " * 700), (1, "the cat\nsat " * 700), (2, "z" * 5000), (3, "short"), (None, "é字 " * 900), (4, None)]
+    got = tokens.token_counts(spark.createDataFrame(rows, "doc_id long, text string"), MODEL, long=1000, chunk=300).collect()
+    assert sorted(((r.doc_id, r.n_bytes, r.n_tokens) for r in got), key=str) == sorted(((d, len((x or "").encode()), direct([x or ""])[0]) for d, x in rows), key=str)
+
+
+def test_query_equals_library_on_a_table(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text").collect()
+    got = {r.doc_id: r.n_tokens for r in queries.op6_token_counts(spark, "/root/testdata/sf0.001").collect()}
+    assert got == dict(zip([r.doc_id for r in docs], direct([r.text or "" for r in docs]), strict=True))
 
 
 def test_token_counts_rows(spark):
