@@ -23,6 +23,8 @@ from ..session import materialise
 
 TABLES, HASHES, WIDTH, PROBES, SEED = 5, 4, 1.2, 42, 11
 HEAVY_ROWS, HEAVY_QUERIES = 200_000, 5_000
+#: More than a matrix product's rounding can change a cosine.
+SLACK = 1e-9
 
 
 def _projections(dim: int, table: int, k: int, width: float, seed: int) -> tuple[np.ndarray, np.ndarray]:
@@ -69,7 +71,7 @@ def _matrix(column: pa.Array) -> np.ndarray:
 def search(vectors: DataFrame, queries: DataFrame, top: int = 5, tables: int = TABLES, probes: int = PROBES, k: int = HASHES, width: float = WIDTH, seed: int = SEED) -> DataFrame:
     """``vectors(vec_id, embedding)``, ``queries`` of the same columns -> query_id, rank, vec_id, score.
 
-    A query never finds the row of its own id. Ties go to the smaller id; repeated (id, vector) rows count once.
+    A query never finds the row of its own id; of several vectors of a query id the least one asks. Ties go to the smaller id; repeated (id, vector) rows count once.
     Vectors of another length than the query's are no candidates. Fewer than ``top`` candidates: all of them.
     """
 
@@ -125,7 +127,7 @@ def search(vectors: DataFrame, queries: DataFrame, top: int = 5, tables: int = T
 
     clean = materialise(_clean(vectors), "vectors")
     index = _collapse(clean, top + 1)
-    asked = materialise(_clean(queries).groupBy("vec_id").agg(F.first("v").alias("v")).select(F.array("vec_id").alias("ids"), "v"), "queries")
+    asked = materialise(_clean(queries).groupBy("vec_id").agg(F.min("v").alias("v")).select(F.array("vec_id").alias("ids"), "v"), "queries")
     schema = "key long, ids array<long>, v array<double>"
     found = _scan_buckets(asked.select("ids", "v").mapInArrow(hashed(probes), schema), index.select("ids", "v").mapInArrow(hashed(1), schema), scan)
     found = materialise(found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")), "found")
@@ -135,7 +137,7 @@ def search(vectors: DataFrame, queries: DataFrame, top: int = 5, tables: int = T
         alone = lambda d: d.select(F.size("v").cast("long").alias("key"), "ids", "v")
         rest = _scan_buckets(alone(poor), alone(index), scan)
         found = found.unionByName(rest).groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    by = W.Window.partitionBy("query_id").orderBy(F.desc(F.round("score", 12)), "vec_id")
+    by = W.Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
 
 
@@ -164,20 +166,31 @@ def _scan_buckets(asked: DataFrame, index: DataFrame, scan) -> DataFrame:
 
 
 def _better(best, qm, qn, qid, ids, v, top):
-    """Merge the best so far with the rows of a block."""
+    """Merge the best so far with the rows of a block.
+
+    The matrix product finds the few that can matter; their scores are computed pair by pair, so that a score depends on the
+    two vectors alone and equal vectors tie.
+    """
     x = _matrix(v)
     if x.shape[1] != qm.shape[1]:
         return best
     x = _scaled(x)
-    s = (qm @ x.T) / (qn[:, None] * np.linalg.norm(x, axis=1)[None, :])
+    xn = np.linalg.norm(x, axis=1)
+    s = (qm @ x.T) / (qn[:, None] * xn[None, :])
     lists = ids.value_lengths().to_numpy(zero_copy_only=False)
     owner, flat = np.repeat(np.arange(len(lists)), lists), ids.flatten().to_numpy(zero_copy_only=False)
-    s = np.clip(s[:, owner], -1.0, 1.0)
+    s = s[:, owner]
     s[qid[:, None] == flat[None, :]] = -np.inf
-    if s.shape[1] > 4 * top:  # keep all that tie with the last
-        limit = np.partition(s, s.shape[1] - top, axis=1)[:, s.shape[1] - top]
-        keep = (s >= limit[:, None]).any(0)
-        s, flat = s[:, keep], flat[keep]
+    may = s > -np.inf
+    if s.shape[1] > top:  # all that may tie with the last
+        may &= s >= np.partition(s, s.shape[1] - top, axis=1)[:, s.shape[1] - top][:, None] - SLACK
+    q, r = np.nonzero(may)
+    exact = np.full(s.shape, -np.inf)
+    for i in range(0, len(q), 100_000):
+        a, b = q[i : i + 100_000], r[i : i + 100_000]
+        exact[a, b] = np.clip((qm[a] * x[owner[b]]).sum(1) / (qn[a] * xn[owner[b]]), -1.0, 1.0)
+    keep = may.any(0)
+    s, flat = exact[:, keep], flat[keep]
     score = np.concatenate([best[0], s], 1)
     ids2 = np.concatenate([best[1], np.broadcast_to(flat, s.shape)], 1)
     order = np.lexsort((ids2, -score), axis=1)[:, :top]

@@ -34,6 +34,29 @@ def test_round_trip(spark, monkeypatch):
     assert [t for p in [[("a", "b c")], [("assistant", " d\n")]] for t in chat._encoder(TOK).encode(chat.render(p)[0]).ids] == chat._encoder(TOK).encode(chat.render([("a", "b c"), ("assistant", " d\n")])[0]).ids
 
 
+def test_runs_of_turns_equal_the_whole(spark, monkeypatch):
+    """A long conversation encoded in runs of turns has the tokens, offsets, masks and digest of one encoded whole."""
+    rng = random.Random(9)
+    rows = []
+    for conv in range(3):
+        for i in range(150):
+            rows.append((conv, i, rng.choice(["user", "assistant"]), "".join(rng.choice(PARTS) for _ in range(rng.randrange(25)))))
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+
+    def joined():
+        out = {}
+        for r in sorted(chat.format_conversations(df, TOK).collect(), key=lambda r: (r.conv_id, r.part)):
+            text, ids, starts, ends, loss, ss, se = out.setdefault(r.conv_id, ("", [], [], [], [], [], []))
+            n = len(text)
+            out[r.conv_id] = text + r.text, ids + r.token_ids, starts + [x + n for x in r.token_starts], ends + [x + n for x in r.token_ends], loss + r.loss, ss + [x + n for x in r.span_starts], se + [x + n for x in r.span_ends]
+        return out, sorted(map(tuple, chat.formatted_corpus(df, TOK).collect()))
+
+    whole = joined()
+    monkeypatch.setattr(chat, "SEGMENT", 200)
+    assert chat.format_conversations(df, TOK).where("part > 3").count() > 0
+    assert joined() == whole
+
+
 def brute(rows, qs, top):
     out = set()
     ids = np.array([i for i, _ in rows])
@@ -62,6 +85,25 @@ def test_search_finds_the_nearest(spark):
     assert common <= found  # ties go to the smaller id
 
 
+def test_scores_order_exactly(spark):
+    """Cosines that differ in the last digits are told apart; multiples by powers of two and repeated rows tie; the least of a query's vectors asks."""
+    rng = np.random.default_rng(3)
+    base = rng.normal(size=16)
+    rows = [(0, base.tolist())] + [(i, (base + 1e-7 * rng.normal(size=16)).tolist()) for i in range(1, 40)]
+    rows += [(i, (np.array(rows[5][1]) * 2.0**i).tolist()) for i in range(40, 44)] + [(0, (base + 1).tolist())]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [(r.rank, r.vec_id) for r in neighbours.search(df, df.where("vec_id = 0"), top=8).orderBy("rank").collect()]
+    q = np.array(min(v for i, v in rows if i == 0))
+    cos = lambda v: float((q * v).sum() / (np.linalg.norm(q) * np.linalg.norm(v)))
+    want = sorted((-round(cos(np.array(v)), 15), i) for i, v in rows if i)[:8]
+    scores = {i: cos(np.array(v)) for i, v in rows if i}
+    assert [r for r, _ in got] == list(range(1, 9))
+    assert all(scores[a] >= scores[b] - 4e-16 for (_, a), (_, b) in zip(got, got[1:]))
+    assert min(scores[i] for _, i in got) >= -want[-1][0] - 4e-16
+    tied = [i for _, i in got if i == 5 or i >= 40]
+    assert tied == sorted(tied)
+
+
 def test_search_few_rows(spark):
     df = spark.createDataFrame([(0, [1.0, 0.0], 1), (50, [-1.0, 1e-3], 1), (51, [0.0, 1e300], 1)], "vec_id long, embedding array<double>, score int")
     got = sorted((r.query_id, r.rank, r.vec_id) for r in neighbours.search(df, df.where("vec_id % 50 = 0")).collect())
