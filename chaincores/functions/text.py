@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -34,8 +35,57 @@ def jaro_winkler(a: str, b: str) -> float:
     return jaro + 0.1 * prefix * (1 - jaro)
 
 
+#: Characters of a name beyond which a pair is compared by itself.
+WIDE = 48
+
+
+def jaro_winkler_many(a: list[str], b: list[str]) -> np.ndarray:
+    """:func:`jaro_winkler` of many pairs at once, a pair of positions at a time."""
+    out = np.zeros(len(a))
+    wide = [i for i, (x, y) in enumerate(zip(a, b, strict=True)) if max(len(x), len(y)) > WIDE]
+    for i in wide:
+        out[i] = jaro_winkler(a[i], b[i])
+    rest = np.setdiff1d(np.arange(len(a)), wide)
+    for at in range(0, len(rest), 20_000):
+        part = rest[at : at + 20_000]
+        out[part] = _narrow([a[i] for i in part], [b[i] for i in part])
+    return out
+
+
+def _codes(names: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    size = np.fromiter(map(len, names), np.int64, len(names))
+    wide = max(1, int(size.max()))
+    return np.array(names, f"U{wide}").view(np.uint32).reshape(len(names), wide), size
+
+
+def _narrow(a: list[str], b: list[str]) -> np.ndarray:
+    (x, nx), (y, ny) = _codes(a), _codes(b)
+    reach = np.maximum(0, np.maximum(nx, ny) // 2 - 1)
+    left, right, far = np.zeros(x.shape, bool), np.zeros(y.shape, bool), int(reach.max())
+    for i in range(x.shape[1]):
+        free = i < nx
+        for j in range(max(0, i - far), min(y.shape[1], i + far + 1)):
+            hit = free & ~right[:, j] & (j < ny) & (abs(i - j) <= reach) & (x[:, i] == y[:, j])
+            right[:, j] |= hit
+            left[:, i] |= hit
+            free &= ~hit
+    m = left.sum(1)
+    w = min(x.shape[1], y.shape[1])
+    inner = np.take_along_axis(x, np.argsort(~left, 1, kind="stable"), 1)[:, :w] != np.take_along_axis(y, np.argsort(~right, 1, kind="stable"), 1)[:, :w]
+    moved = (inner & (np.arange(w) < m[:, None])).sum(1) // 2
+    some = np.maximum(m, 1)
+    jaro = np.where(m > 0, (m / np.maximum(nx, 1) + m / np.maximum(ny, 1) + (m - moved) / some) / 3, 0.0)
+    four = min(4, w)
+    prefix = np.cumprod((x[:, :four] == y[:, :four]) & (np.arange(four) < np.minimum(nx, ny)[:, None]), 1).sum(1)
+    same = np.fromiter((s == t for s, t in zip(a, b, strict=True)), bool, len(a))
+    return np.where(same, 1.0, np.where(jaro <= 0.7, jaro, jaro + 0.1 * prefix * (1 - jaro)))
+
+
 def _vector(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([jaro_winkler(x, y) if x is not None and y is not None else None for x, y in zip(a, b, strict=True)], dtype="float64")
+    held = (a.notna() & b.notna()).to_numpy()
+    out = np.full(len(a), np.nan)
+    out[held] = jaro_winkler_many(a[held].tolist(), b[held].tolist())
+    return pd.Series(out).where(held, None)
 
 
 def jaro_winkler_udf(a: Column, b: Column) -> Column:

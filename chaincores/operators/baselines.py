@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from heapq import heapify, heappop, heappush
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
+from ..functions.text import jaro_winkler_udf
 from ..session import materialise
 from .components import components
 from .graph import graph, name_classes, record_components, value_rows
@@ -39,6 +42,28 @@ def record_pairs(records: DataFrame, p: float = 0.8) -> DataFrame:
     return both.select("r1", "r2", F.least(F.lit(1.0), 0.5 + 0.5 * (1 - F.pow(F.lit(1 - p), F.col("n"))) * 0.8 + more).alias("sim"))
 
 
+#: Weights of the attributes in the similarity of whole records; the location has none.
+ATTRIBUTES = {"name": 0.4, "phone": 0.25, "url": 0.25, "category": 0.1}
+
+
+def weighted_pairs(records: DataFrame, threshold: float = 0.8, weights: dict | None = None) -> DataFrame:
+    """r1 < r2, sim: pairs whose weighted similarity over name (string similarity), phone, site and category is above the threshold.
+
+    A missing value agrees with none. Only pairs with a common dominant value can reach the threshold, so candidates meet on these.
+    """
+    w = weights or ATTRIBUTES
+    if w["name"] + w["category"] > threshold:
+        raise ValueError("name and category alone would reach the threshold: candidates can't be found by dominant values")
+    v = records.where("name is not null").select("rid", F.explode(F.array(F.struct(F.lit("phone").alias("attr"), F.col("phone").alias("value")), F.struct(F.lit("url").alias("attr"), F.col("url").alias("value")))).alias("p")).select("rid", "p.*").where("value is not null")
+    pairs = v.join(v.withColumnRenamed("rid", "r2"), ["attr", "value"]).where("rid < r2").groupBy(F.col("rid").alias("r1"), "r2").agg(F.sum(F.when(F.col("attr") == "phone", w["phone"]).otherwise(w["url"])).alias("dom"))
+    # what the dominant values lack, name and category must be able to add
+    pairs = pairs.where(F.col("dom") + w["name"] + w["category"] > threshold)
+    at = records.select("rid", "name", "category")
+    both = pairs.join(at.withColumnsRenamed({"rid": "r1", "name": "n1", "category": "c1"}), "r1").join(at.withColumnsRenamed({"rid": "r2", "name": "n2", "category": "c2"}), "r2")
+    sim = F.col("dom") + w["name"] * jaro_winkler_udf(F.col("n1"), F.col("n2")) + F.when(F.col("c1") == F.col("c2"), w["category"]).otherwise(0.0)
+    return both.select("r1", "r2", sim.alias("sim")).where(F.col("sim") > threshold)
+
+
 def edge_partition(records: DataFrame, threshold: float = 0.8) -> DataFrame:
     """Transitive closure of pairs above the threshold."""
     found = components(record_pairs(records).where(F.col("sim") > threshold), "r1", "r2")
@@ -89,31 +114,39 @@ def strict_rule(records: DataFrame) -> DataFrame:
     return low.select("rid", F.min("rid").over(W.Window.partitionBy("k")).alias("group_id"))
 
 
+def average_linkage(pairs, threshold: float) -> list[list]:
+    """Members of the clusters of two or more, from (a, b, similarity); pairs that aren't listed have none. Ties go to the smaller ids."""
+    sim: dict = {}
+    for a, b, s in pairs:
+        sim.setdefault(a, {})[b] = s
+        sim.setdefault(b, {})[a] = s
+    size, members = dict.fromkeys(sim, 1), {n: [n] for n in sim}
+    heap = [(-s, a, b) for a, row in sim.items() for b, s in row.items() if a < b and s >= threshold]
+    heapify(heap)
+    while heap:
+        s, a, b = heappop(heap)
+        if a not in sim or b not in sim[a] or sim[a][b] / (size[a] * size[b]) != -s:
+            continue  # one of them has changed since
+        for c, more in sim.pop(b).items():
+            del sim[c][b]
+            if c != a:
+                sim[a][c] = sim[c][a] = sim[a].get(c, 0) + more
+        size[a] += size.pop(b)
+        members[a] += members.pop(b)
+        for c, total in sim[a].items():
+            if (mean := total / (size[a] * size[c])) >= threshold:
+                heappush(heap, (-mean, min(a, c), max(a, c)))
+    return [m for m in members.values() if len(m) > 1]
+
+
 def agglomerative_cores(records: DataFrame, threshold: float = 0.9) -> DataFrame:
     """rid, core by average linkage over the record pairs of each component."""
     edges = materialise(record_pairs(records), "edges")
     comp = components(edges, "r1", "r2")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        sim = {}
-        for r in pdf.itertuples():
-            sim.setdefault(r.r1, {})[r.r2] = r.sim
-            sim.setdefault(r.r2, {})[r.r1] = r.sim
-        size = dict.fromkeys(sim, 1)
-        members = {n: [n] for n in sim}
-        while True:
-            best = max(((s / (size[a] * size[b]), -a, -b) for a, row in sim.items() for b, s in row.items() if a < b), default=None)
-            if best is None or best[0] < threshold:
-                break
-            a, b = -best[1], -best[2]
-            for c, s in sim.pop(b).items():
-                del sim[c][b]
-                if c != a:
-                    sim[a][c] = sim[a].get(c, 0) + s
-                    sim[c][a] = sim[a][c]
-            size[a] += size.pop(b)
-            members[a] += members.pop(b)
-        return pd.DataFrame([(n, min(m)) for m in members.values() if len(m) > 1 for n in m], columns=["rid", "core"])
+        got = average_linkage(zip(pdf["r1"].tolist(), pdf["r2"].tolist(), pdf["sim"].tolist(), strict=True), threshold)
+        return pd.DataFrame([(n, min(m)) for m in got for n in m], columns=["rid", "core"])
 
     per = edges.join(comp.select(F.col("node").alias("r1"), F.col("comp").alias("part")), "r1")
     return per.groupBy("part").applyInPandas(run, "rid long, core long")

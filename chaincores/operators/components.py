@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..session import materialise, release
 
 MAX_ROUNDS = 60
+#: Distinct edges up to which one task joins them; the rounds, of several jobs each, are for more.
+LOCAL = 50_000
 
 
 def _large_star(e: DataFrame) -> DataFrame:
@@ -23,18 +29,45 @@ def _small_star(e: DataFrame) -> DataFrame:
     return e.join(low, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
 
 
-def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = MAX_ROUNDS) -> DataFrame:
+def _join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """node, comp of few edges."""
+    root: dict = {}
+
+    def find(x):
+        while root.setdefault(x, x) != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    kind = None
+    for batch in batches:
+        kind = batch.schema.field(0).type
+        for x, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            x, y = find(x), find(y)
+            if x != y:
+                root[max(x, y)] = min(x, y)
+    if root:
+        yield pa.record_batch([pa.array(list(root), kind), pa.array([find(x) for x in root], kind)], names=["node", "comp"])
+
+
+def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = MAX_ROUNDS, local: int = LOCAL) -> DataFrame:
     """``edges(a, b)`` -> node, comp with comp the smallest node reachable.
 
     Only nodes with an edge appear; self links give a component of one; rows with a null end are left out;
     repeated edges count once. The edges stay distributed: minima are pre-aggregated, the joins on a node with
     very many edges can be split at run time, and each round is written to shared storage. Raises if the
-    rounds don't suffice (they are logarithmic in the length of the longest chain).
+    rounds don't suffice (they are logarithmic in the length of the longest chain). Up to ``local`` edges are joined
+    in one task, with the same result.
     """
     pairs = edges.select(F.col(a).alias("u"), F.col(b).alias("v")).where("u is not null and v is not null")
     loops = pairs.where("u = v").select(F.col("u").alias("node"))
     e = pairs.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
     e = materialise(e, "edges")
+    if e.count() <= local:
+        kind = e.schema["u"].dataType
+        found = e.coalesce(1).mapInArrow(_join, T.StructType([T.StructField("node", kind), T.StructField("comp", kind)]))
+        alone = loops.distinct().join(e.select(F.col("u").alias("node")).unionByName(e.select(F.col("v").alias("node"))), "node", "left_anti")
+        return found.unionByName(alone.select("node", F.col("node").alias("comp")))
     last = None
     for _ in range(max_rounds):
         n = materialise(_small_star(_large_star(e)).where("u <> v").distinct(), "edges")

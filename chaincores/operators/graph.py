@@ -23,27 +23,34 @@ def similar_pairs(names: DataFrame, threshold: float) -> DataFrame:
     """``names(name)`` -> a < b, sim: all distinct names whose similarity is above the threshold.
 
     Two names above the threshold share enough characters (with repetitions) that one of the rarest of each is common:
-    candidates meet on these, and are compared only if their bags overlap enough.
+    candidates meet on the rarest that they share, by measured frequency, and are compared only if enough is common. The bound
+    is weak below 0.9, or where few characters make up all names; then the candidates near all pairs of distinct names.
     """
     distinct = names.where("name is not null").select("name").distinct()
     jaro = max(0.0, (threshold - 0.4) / 0.6)  # a prefix of four is worth four tenths of the rest
+    if threshold >= 0.7:
+        jaro = max(jaro, 0.7)  # a prefix counts above that only
     need = max(0.0, 3 * jaro - 1)  # m/|a| + m/|b| at least
-    n = distinct.select("name", character_bag(F.col("name")).alias("bag"))
-    n = n.select("name", "bag", F.size("bag").alias("n"))
-    least = F.greatest(F.lit(1), F.ceil(F.col("n") * F.lit(max(0.0, need - 1)))).cast("int")
-    keyed = materialise(n.select("name", "bag", "n", F.explode(F.slice(F.array_sort("bag"), F.lit(1), F.col("n") - least + 1)).alias("t")), "names")
-    a, b = keyed.withColumnsRenamed({"name": "a", "bag": "x", "n": "na"}), keyed.withColumnsRenamed({"name": "b", "bag": "y", "n": "nb"})
+    n = materialise(distinct.select("name", character_bag(F.col("name")).alias("bag")).select("name", F.size("bag").alias("n"), F.explode("bag").alias("t")), "characters")
+    often = n.groupBy("t").agg(F.count("*").alias("often"))
+    n = n.join(often, "t").groupBy("name", "n").agg(F.array_sort(F.collect_list(F.struct("often", "t"))).alias("bag")).select("name", "n", F.col("bag.t").alias("bag"))
+    least = F.greatest(F.lit(1), F.ceil(F.col("n") * F.lit(max(0.0, need - 1)) - 1e-9)).cast("int")
+    n = materialise(n.withColumn("rare", F.slice("bag", F.lit(1), F.col("n") - least + 1)), "names")
+    keyed = n.withColumn("t", F.explode("rare"))
+    a, b = keyed.withColumnsRenamed({"name": "a", "bag": "x", "n": "na", "rare": "rx"}), keyed.withColumnsRenamed({"name": "b", "bag": "y", "n": "nb", "rare": "ry"})
     m = F.size(F.array_intersect("x", "y"))
-    pairs = a.join(b, "t").where("a < b").where(m / F.col("na") + m / F.col("nb") >= need - 1e-9).select("a", "b").distinct()
+    pairs = a.join(b, "t").where("a < b").where(F.get(F.array_intersect("rx", "ry"), F.lit(0)) == F.col("t")).where(m / F.col("na") + m / F.col("nb") >= need - 1e-9).select("a", "b")
     return pairs.withColumn("sim", jaro_winkler_udf(F.col("a"), F.col("b"))).where(F.col("sim") > threshold)
 
 
-def name_classes(names: DataFrame, threshold: float | None = None) -> DataFrame:
-    """``names(name)`` -> name, class: exact (class = name), or the transitive closure of similarity above the threshold."""
+def name_classes(names: DataFrame, threshold: float | None = None, pairs: DataFrame | None = None) -> DataFrame:
+    """``names(name)`` -> name, class: exact (class = name), or the transitive closure of similarity above the threshold.
+
+    ``pairs(a, b, sim)`` are the similar pairs of these names, down to the threshold at least, if they are known."""
     distinct = names.where("name is not null").select("name").distinct()
     if threshold is None:
         return distinct.select("name", F.col("name").alias("class"))
-    found = components(similar_pairs(names, threshold))
+    found = components(similar_pairs(names, threshold) if pairs is None else pairs.where(F.col("sim") > threshold))
     return distinct.join(found, distinct.name == found.node, "left").select("name", F.coalesce("comp", "name").alias("class"))
 
 
@@ -113,7 +120,7 @@ def record_components(incidence: DataFrame) -> DataFrame:
     return found.select(F.col("node").alias("rid"), "comp")
 
 
-def graph(records: DataFrame, threshold: float | None = None) -> DataFrame:
+def graph(records: DataFrame, threshold: float | None = None, pairs: DataFrame | None = None) -> DataFrame:
     """Pruned incidence of the one-dominant rule: the method's first step."""
     v = value_rows(records)
-    return materialise(prune_subcliques(v_cliques(v, None if threshold is None else name_classes(records, threshold))), "incidence")
+    return materialise(prune_subcliques(v_cliques(v, None if threshold is None else name_classes(records, threshold, pairs))), "incidence")

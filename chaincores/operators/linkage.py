@@ -10,15 +10,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from ..functions.text import jaro_winkler
-from ..plans.cluster import Element, Settings, cluster_block
+from ..plans.cluster import Element, Settings, Weights, cluster_block
 from ..session import materialise
 from .cores import find_cores
-from .graph import graph, name_classes, record_components
+from .graph import graph, name_classes, record_components, similar_pairs
 
 ALIKE = 0.9
 #: The method's edge rule and cores: name similarity above this, and the records that a core may lose.
 NAME, ROBUST = 0.95, 2
+#: Names in one block are more similar than this.
+CLOSE = 0.8
 
 
 def elements(records: DataFrame, cores: DataFrame) -> DataFrame:
@@ -26,9 +27,14 @@ def elements(records: DataFrame, cores: DataFrame) -> DataFrame:
     return records.select("rid").join(cores, "rid", "left").select("rid", F.coalesce("core", "rid").alias("eid"), F.col("core").isNotNull().alias("is_core"))
 
 
-def blocks(records: DataFrame, threshold: float | None = 0.8) -> DataFrame:
+def close_names(records: DataFrame, threshold: float = CLOSE) -> DataFrame:
+    """All pairs of names above the least threshold that any step asks for: found once."""
+    return materialise(similar_pairs(records, threshold), "names")
+
+
+def blocks(records: DataFrame, threshold: float | None = CLOSE, pairs: DataFrame | None = None) -> DataFrame:
     """rid, block: records whose names are close, closed transitively; null names are blocks of their own."""
-    c = name_classes(records, threshold)
+    c = name_classes(records, threshold, pairs)
     b = c.groupBy("class").agg(F.min("name").alias("block")).join(c, "class").select("name", "block")
     return records.select("rid", "name").join(b, "name", "left").select("rid", F.coalesce("block", F.concat(F.lit("#"), F.col("rid").cast("string"))).alias("block"))
 
@@ -51,31 +57,48 @@ def association_weights(values: DataFrame, epsilon: float = 0.99) -> DataFrame:
     return pop.join(via, ["owner", "value"], "left").select("owner", "value", F.greatest("pop", F.coalesce("via", F.lit(0.0))).alias("weight"))
 
 
-def learn_weights(records: DataFrame, gold: DataFrame, most: int = 1000) -> DataFrame:
-    """role, agree, differ: P(same group | values agree), P(other group | they differ), over pairs within name classes of a hash sample."""
-    r = records.drop("gold").join(gold, "rid").withColumn("order", F.xxhash64("rid", F.lit(5))).orderBy("order").limit(most).select("rid", "name", "phone", "url", "gold")
-    pairs = r.alias("a").join(r.alias("b"), (F.substring("a.name", 1, 4) == F.substring("b.name", 1, 4)) & (F.col("a.rid") < F.col("b.rid")))
-    same = F.col("a.gold") == F.col("b.gold")
-    roles = {"com": F.col("a.name") == F.col("b.name"), "dom": F.coalesce(F.col("a.phone") == F.col("b.phone"), F.lit(False)) | F.coalesce(F.col("a.url") == F.col("b.url"), F.lit(False))}
-    long = pairs.select(F.explode(F.array(*[F.struct(F.lit(k).alias("role"), v.alias("agree"), same.alias("same")) for k, v in roles.items()])).alias("x")).select("x.*")
-    return long.groupBy("role").agg(F.avg(F.when(F.col("agree"), F.col("same").cast("int"))).alias("agree"), F.avg(F.when(~F.col("agree"), 1 - F.col("same").cast("int"))).alias("differ"))
+def learn_weights(records: DataFrame, gold: DataFrame, most: int = 1000, block_threshold: float | None = 0.8) -> DataFrame:
+    """role, kind, agree, differ: P(same group | values agree) and P(other group | values differ), over the pairs of a block.
+
+    Learned from the ``most`` labelled records that come first by a hash. kind 'distinct' counts values of one group alone,
+    'shared' the others, 'all' both; each rate has one pair more for and against. Pairs are counted by group sizes, none is listed.
+    """
+    r = records.drop("gold").join(gold, "rid").where("gold is not null").withColumn("order", F.md5(F.concat(F.col("rid").cast("string"), F.lit("|w")))).orderBy("order", "rid").limit(most)
+    r = materialise(r.select("rid", "name", "phone", "url", "gold"), "sample")
+    values = F.array(*[F.struct(F.lit(role).alias("role"), F.lit(c).alias("attr"), F.col(c).alias("value")) for role, c in (("com", "name"), ("dom", "phone"), ("dom", "url"))])
+    v = blocks(r, block_threshold).join(r, "rid").select("block", "gold", F.explode(values).alias("v")).select("block", "gold", "v.*").where("value is not null")
+    pairs = F.sum(F.col("n") * (F.col("n") - 1) / 2)
+    sizes = lambda *by: v.groupBy("role", *by).agg(F.count("*").alias("n"))
+    cell = sizes("attr", "value", "block", "gold")
+    kind = cell.groupBy("role", "attr", "value").agg(F.when(F.countDistinct("gold") == 1, "distinct").otherwise("shared").alias("kind"))
+    same = cell.join(kind, ["role", "attr", "value"]).groupBy("role", "kind").agg(pairs.alias("both"))
+    agree = sizes("attr", "value", "block").join(kind, ["role", "attr", "value"]).groupBy("role", "kind").agg(pairs.alias("agree"))
+    one = same.join(agree, ["role", "kind"])
+    one = one.unionByName(one.groupBy("role").agg(F.sum("both").alias("both"), F.sum("agree").alias("agree")).withColumn("kind", F.lit("all")))
+    every = sizes("attr", "block").groupBy("role").agg(pairs.alias("pairs"))
+    together = sizes("attr", "block", "gold").groupBy("role").agg(pairs.alias("group"))
+    total = one.where("kind = 'all'").select("role", F.col("both").alias("b"), F.col("agree").alias("a")).join(every, "role").join(together, "role")
+    rate = total.select("role", ((F.col("pairs") - F.col("a") - F.col("group") + F.col("b") + 1) / (F.col("pairs") - F.col("a") + 2)).alias("differ"))
+    return one.join(rate, "role").select("role", "kind", ((F.col("both") + 1) / (F.col("agree") + 2)).alias("agree"), "differ")
+
+
+def weights_of(learned: DataFrame, mode: str = "double") -> Weights:
+    """The learned rates as weights; single mode has one pair for all values. A kind without any value takes the rates of all."""
+    found = {(x.role, x.kind): (x.agree, x.differ) for x in learned.collect()}  # six rows at most
+    pair = lambda role, kind: found.get((role, kind)) or found.get((role, "all")) or getattr(Weights(), role)
+    if mode == "single":
+        return Weights(*(2 * (pair("com", "all"), pair("dom", "all"))), mode=mode)
+    return Weights(pair("com", "shared"), pair("dom", "shared"), pair("com", "distinct"), pair("dom", "distinct"))
 
 
 def _solve(settings: Settings):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        names = sorted({n for n in pdf["name"] if n is not None})
-        root = {n: n for n in names}
-        for i, a in enumerate(names):
-            for b in names[:i]:
-                if root[a] != root[b] and jaro_winkler(a, b) > ALIKE:
-                    old, new = max(root[a], root[b]), min(root[a], root[b])
-                    root = {n: new if r == old else r for n, r in root.items()}
         found = []
         for eid, g in pdf.groupby("eid", sort=True):
             values: Counter = Counter()
             for row in g.itertuples():
                 if row.name is not None:
-                    values[("com", "name", root[row.name])] += 1
+                    values[("com", "name", row.alike)] += 1
                 for attr, v in {("phone", row.phone), ("url", row.url), ("url", row.url2)}:
                     if isinstance(v, str) and v:
                         values[("dom", attr, v)] += 1
@@ -84,7 +107,7 @@ def _solve(settings: Settings):
                     if isinstance(v, str) and v:
                         values[("multi", attr, v)] += 1
             found.append(Element(eid, bool(g["is_core"].iloc[0]), len(g), values))
-        outside = frozenset(("com", "name", root[n]) for n in set(pdf.loc[pdf["elsewhere"], "name"]) if n is not None)
+        outside = frozenset(("com", "name", n) for n in pdf.loc[pdf["elsewhere"] & pdf["name"].notna(), "alike"])
         got = cluster_block(found, settings, outside)
         return pd.DataFrame(list(got.items()), columns=["eid", "group_id"])
 
@@ -100,24 +123,28 @@ class Packed:
     alike: DataFrame
 
 
-def pack(records: DataFrame, cores: DataFrame, block_threshold: float | None = 0.8) -> Packed:
+def pack(records: DataFrame, cores: DataFrame, block_threshold: float | None = CLOSE, pairs: DataFrame | None = None) -> Packed:
     """Evidence components: elements of a block that share a dominant value. Inside a block, others only meet through their
-    names, so a block of one very common name is not one task."""
+    names, so a block of one very common name is not one task. Names of one class (``alike``) agree."""
     e = materialise(elements(records, cores), "elements")
-    b = blocks(records, block_threshold)
-    base = materialise(records.select("rid", "name", "phone", "url", "url2", "state", "category").join(e, "rid").join(b, "rid"), "blocked")
+    if pairs is None and block_threshold is not None:
+        pairs = close_names(records, min(block_threshold, ALIKE))
+    alike = materialise(blocks(records, ALIKE, pairs).withColumnRenamed("block", "alike"), "alike")
+    base = records.select("rid", "name", "phone", "url", "url2", "state", "category").join(e, "rid").join(alike, "rid").join(blocks(records, block_threshold, pairs), "rid")
+    base = materialise(base, "blocked")
     value = F.explode(F.array_compact(F.array("phone", "url", "url2")))
     links = base.select("eid", "block", value.alias("v")).select("eid", F.concat_ws("|", "block", "v").alias("clique")).distinct()
     comp = record_components(links.select(F.col("eid").alias("rid"), "clique")).select(F.col("rid").alias("eid"), F.col("comp").alias("task"))
     rows = base.join(comp, "eid", "left").withColumn("task", F.coalesce("task", "eid"))
-    tasks = rows.groupBy("block", "name").agg((F.min("task") < F.max("task")).alias("elsewhere"))
-    rows = rows.join(tasks.withColumnsRenamed({"block": "tb", "name": "tn"}), (F.col("block") == F.col("tb")) & F.col("name").eqNullSafe(F.col("tn"))).drop("tb", "tn")
-    return Packed(e, materialise(rows, "packed"), materialise(blocks(records, ALIKE), "alike"))
+    tasks = rows.groupBy("block", "alike").agg((F.min("task") < F.max("task")).alias("elsewhere"))
+    alone = rows.groupBy("block", "task").agg((F.min("eid") == F.max("eid")).alias("alone"))
+    return Packed(e, materialise(rows.join(tasks, ["block", "alike"]).join(alone, ["block", "task"]), "packed"), alike.withColumnRenamed("alike", "block"))
 
 
 def assign(packed: Packed, settings: Settings = Settings()) -> DataFrame:
     """rid, group_id (smallest element of the group): clusters of each evidence component, then distinct names."""
-    got = packed.rows.groupBy("block", "task").applyInPandas(_solve(settings), "eid long, group_id long")
+    got = packed.rows.where(~F.col("alone")).groupBy("block", "task").applyInPandas(_solve(settings), "eid long, group_id long")
+    got = got.unionByName(packed.rows.where("alone").select("eid", F.col("eid").alias("group_id")).distinct())
     groups = packed.elements.join(got, "eid").select("rid", "is_core", "group_id")
     if settings.weights.mode == "single" or cluster_is_below(settings):
         return groups.select("rid", "group_id")
@@ -131,8 +158,8 @@ def cluster_elements(records: DataFrame, cores: DataFrame, settings: Settings =
 
 def cluster_is_below(settings: Settings) -> bool:
     """Whether agreement on a distinct common value alone stays below the threshold."""
-    w = settings.weights
-    return w.distinct / (w.distinct + w.effective("dom", 0.0)) <= settings.theta
+    agree, differ = settings.weights.com_distinct[0], settings.weights.effective("dom", 0.0)
+    return agree <= settings.theta * (agree + differ)
 
 
 def _distinct_names(alike: DataFrame, groups: DataFrame) -> DataFrame:
@@ -148,13 +175,14 @@ def two_stage(records: DataFrame, k: int = ROBUST, settings: Settings = Settings
     """rid, group_id. stages: 'both', 'core_only' (others are singletons), 'cluster_only' (every record an element without core).
 
     Records are linked if their names are more similar than ``threshold`` (None: equal) and they share a dominant value."""
+    pairs = close_names(records, CLOSE if threshold is None else min(CLOSE, threshold))
     if stages == "cluster_only":
         # every record is a core of its own
-        return cluster_elements(records, records.select("rid", F.col("rid").alias("core")), settings)
-    cores = materialise(find_cores(graph(records, threshold), k, strategy), "cores")
+        return assign(pack(records, records.select("rid", F.col("rid").alias("core")), CLOSE, pairs), settings)
+    cores = materialise(find_cores(graph(records, threshold, pairs), k, strategy), "cores")
     if stages == "core_only":
         return elements(records, cores).select("rid", F.col("eid").alias("group_id"))
-    return cluster_elements(records, cores, settings)
+    return assign(pack(records, cores, CLOSE, pairs), settings)
 
 
 def sv_index(sims: DataFrame, alpha: float = 0.01, beta: float = 0.02) -> DataFrame:

@@ -8,20 +8,29 @@ from dataclasses import dataclass, replace
 
 @dataclass(frozen=True)
 class Weights:
-    """Agreement and disagreement weights of the roles; (distinct, shared) values weigh apart in double mode."""
+    """Agreement and disagreement weights of common and dominant values, and the agreement weight of each multi-value attribute.
+
+    In double mode the values that only one group has (distinct) weigh apart from the others.
+    """
 
     com: tuple = (0.5, 0.5)
-    dom: tuple = (0.9, 0.5)
+    dom: tuple = (0.45, 0.5)
+    com_distinct: tuple = (0.9, 0.5)
+    dom_distinct: tuple = (0.9, 0.5)
     multi: float = 0.1
-    distinct: float = 0.9  # agreement on a common value that one group alone bears
     mode: str = "double"
 
-    def effective(self, role: str, sim: float) -> float:
-        agree, differ = self.com if role == "com" else self.dom
+    def effective(self, role: str, sim: float, distinct: bool = False) -> float:
+        agree, differ = getattr(self, f"{role}_distinct" if distinct and self.mode == "double" else role)
         return sim * agree + (1 - sim) * differ
 
+    @property
+    def ambiguous(self) -> float:
+        """What a dominant value counts that others have too, against one that they don't."""
+        return min(1.0, self.dom[0] / self.dom_distinct[0]) if self.mode == "double" and self.dom_distinct[0] else 1.0
+
 
-PRESETS = {"fixed": Weights(), "three_equal": Weights((1 / 3, 1 / 3), (1 / 3, 1 / 3), 1 / 6, mode="single"), "two_equal": Weights((0.5, 0.5), (0.5, 0.5), 0.1, mode="single")}
+PRESETS = {"fixed": Weights(), "three_equal": Weights((1 / 3, 1 / 3), (1 / 3, 1 / 3), multi=1 / 3, mode="single"), "two_equal": Weights((0.5, 0.5), (0.5, 0.5), multi=0.1, mode="single")}
 
 
 @dataclass(frozen=True)
@@ -76,8 +85,8 @@ class Cluster:
         return any(e.is_core for e in self.members.values()) or len(self.members) <= 1
 
 
-def similarity(e: Element, c: Cluster, s: Settings, shared_values: frozenset = frozenset()) -> float:
-    """Of an element to a cluster's other members."""
+def similarity(e: Element, c: Cluster, s: Settings, shared_values: frozenset = frozenset(), sole: frozenset = frozenset()) -> float:
+    """Of an element to a cluster's other members. Dominant values in ``shared_values`` are not distinct, common ones in ``sole`` are."""
     own = e.eid in c.members
     size = c.size - (e.size if own else 0)
     if size <= 0:
@@ -97,16 +106,18 @@ def similarity(e: Element, c: Cluster, s: Settings, shared_values: frozenset = f
         b = sum((max(0, n - (e.values[k] if own else 0)) / size) ** 2 for k, n in c.values.items() if k[0] == "com") ** 0.5 if s.value_weight != "none" else max(1.0, sum(1 for k, n in c.values.items() if k[0] == "com" and n > 0)) ** 0.5
         dot = min(1.0, dot / (a * b))
     terms: dict = {}
+    strong_value = False
     for k in e.values:
         if k[0] == "dom" and (x := w(k)):
-            f = 1.0 if s.weights.mode == "single" or k not in shared_values else 0.5
+            f = s.weights.ambiguous if k in shared_values else 1.0
+            strong_value |= k not in shared_values
             terms.setdefault(k[1] if s.dominant == "separated" else "", []).append(s.p * mine(k) * x * f)
     if s.dominant == "separated":
         attrs = {k[1] for k in e.values if k[0] == "dom"}
         dom = sum(noisy_or(terms.get(a, ())) for a in attrs) / max(1, len(attrs))
     else:
         dom = noisy_or(terms.get("", ()))
-    wc, wd = s.weights.effective("com", dot), s.weights.effective("dom", dom)
+    wc, wd = s.weights.effective("com", dot, any(k in sole and w(k) for k in com)), s.weights.effective("dom", dom, strong_value)
     strong = (wc * dot + wd * dom) / (wc + wd) if wc + wd else 0.0
     if strong >= s.theta:
         for attr in {k[1] for k in e.values if k[0] == "multi"}:
@@ -127,6 +138,8 @@ class Block:
         self.next = 0
         seen = Counter(k for e in elements if e.is_core for k in e.values if k[0] == "dom")
         self.shared = frozenset(k for k, n in seen.items() if n > 1)
+        bear = Counter(k for e in elements if e.is_core for k in e.values if k[0] == "com")
+        self.sole = frozenset(k for k, n in bear.items() if n == 1) - outside
         self.holders: dict = {}  # value -> clusters that hold it
         self.bearers: dict = {}  # value -> elements that have it
         for e in elements:
@@ -194,7 +207,7 @@ class Block:
     def like(self, e: Element, c: int) -> float:
         known = self.sims.setdefault(e.eid, {})
         if (got := known.get(c)) is None or got[0] != self.stamps[c]:
-            got = known[c] = self.stamps[c], similarity(e, self.clusters[c], self.s, self.shared)
+            got = known[c] = self.stamps[c], similarity(e, self.clusters[c], self.s, self.shared, self.sole)
         return got[1]
 
     def near(self, e: Element) -> list[tuple[float, int]]:

@@ -41,11 +41,21 @@ def method_cores(r: DataFrame) -> DataFrame:
     return C.find_cores(G.graph(r, L.NAME), L.ROBUST)
 
 
-def learned(r: DataFrame) -> Weights:
-    """Agreement and disagreement weights learned from the labels of the records; a rate without any pair keeps its default."""
-    fixed, found = Weights(), {x.role: (x.agree, x.differ) for x in L.learn_weights(r, gold(r)).collect()}  # two rows
-    pair = lambda role: tuple(d if x is None else x for x, d in zip(found.get(role, (None, None)), getattr(fixed, role), strict=True))
-    return Weights(com=pair("com"), dom=pair("dom"))
+#: Labelled records that the weights are learned from: of the random chains for all listings, of the attendees for themselves.
+SAMPLE, ATTENDEES = 1000, 300
+
+
+def learned(spark, sf, view: str = "p1", mode: str = "double") -> Weights:
+    """The weights that the method runs with on a view."""
+    own = view.startswith("p5")
+    r = listings(spark, sf, WHOLE["p5"] if own else "p1")
+    return L.weights_of(L.learn_weights(r, gold(r), ATTENDEES if own else SAMPLE), mode)
+
+
+def method(spark, sf, view: str = "p1", **how) -> DataFrame:
+    """The whole method with learned weights; ``how`` are options of ``two_stage``."""
+    settings = how.pop("settings", Settings())
+    return L.two_stage(listings(spark, sf, view), settings=settings.but(weights=learned(spark, sf, view)), **how)
 
 
 def classed(r: DataFrame) -> DataFrame:
@@ -317,7 +327,15 @@ def silhouette_rows(spark, sf):
     return got.select("eid", *[F.round(c, 6).alias(c) for c in "abs"])
 
 
-query("learned_weights")(lambda spark, sf: L.learn_weights(listings(spark, sf), gold(listings(spark, sf))))
+_PAIRS_OF = "sum(n * (n - 1) / 2)"
+query("learned_weights", f"""WITH RECURSIVE {ctes()}, sm AS (SELECT * FROM r WHERE gold IS NOT NULL ORDER BY md5(rid::VARCHAR || '|w'), rid LIMIT {SAMPLE}), d AS (SELECT DISTINCT name FROM sm WHERE name IS NOT NULL),
+e AS (SELECT a.name AS x, b.name AS y FROM d a JOIN d b ON a.name = b.name OR jaro_winkler_similarity(a.name, b.name) > 0.8), reach(x, y) AS (SELECT x, y FROM e UNION SELECT reach.x, e.y FROM reach JOIN e ON reach.y = e.x),
+bl AS (SELECT x AS name, min(y) AS block FROM reach GROUP BY x), w AS (SELECT block, gold, role, attr, value FROM (SELECT rid, 'com' AS role, 'name' AS attr, name AS value FROM sm UNION ALL SELECT rid, 'dom', 'phone', phone FROM sm UNION ALL SELECT rid, 'dom', 'url', url FROM sm) z JOIN sm USING (rid) JOIN bl USING (name) WHERE value IS NOT NULL),
+ce AS (SELECT role, attr, value, block, gold, count(*) AS n FROM w GROUP BY ALL), ki AS (SELECT role, attr, value, CASE WHEN count(DISTINCT gold) = 1 THEN 'distinct' ELSE 'shared' END AS kind FROM ce GROUP BY ALL),
+sa AS (SELECT role, kind, {_PAIRS_OF} AS b FROM ce JOIN ki USING (role, attr, value) GROUP BY ALL), ag AS (SELECT role, kind, {_PAIRS_OF} AS a FROM (SELECT role, attr, value, block, count(*) AS n FROM w GROUP BY ALL) JOIN ki USING (role, attr, value) GROUP BY ALL),
+o1 AS (SELECT role, kind, b, a FROM sa JOIN ag USING (role, kind)), o AS (SELECT * FROM o1 UNION ALL SELECT role, 'all', sum(b), sum(a) FROM o1 GROUP BY role),
+ev AS (SELECT role, {_PAIRS_OF} AS p FROM (SELECT role, attr, block, count(*) AS n FROM w GROUP BY ALL) GROUP BY role), gr AS (SELECT role, {_PAIRS_OF} AS g FROM (SELECT role, attr, block, gold, count(*) AS n FROM w GROUP BY ALL) GROUP BY role),
+rt AS (SELECT role, (p - a - g + b + 1) / (p - a + 2) AS differ FROM o JOIN ev USING (role) JOIN gr USING (role) WHERE kind = 'all') SELECT role, kind, round((b + 1) / (a + 2), 6) AS agree, round(differ, 6) AS differ FROM o JOIN rt USING (role)""")(lambda spark, sf: L.learn_weights(r := listings(spark, sf), gold(r), SAMPLE).withColumns({c: F.round(c, 6) for c in ("agree", "differ")}))
 query("blocks_exact", f"WITH {ctes()} SELECT rid, name AS block FROM r")(lambda spark, sf: L.blocks(listings(spark, sf), None))
 query("blocks", f"WITH RECURSIVE k AS ({_similar(0.8)}), b AS (SELECT name, min(name) OVER (PARTITION BY class) AS block FROM k), {ctes()} SELECT rid, block FROM r JOIN b USING (name)")(lambda spark, sf: L.blocks(listings(spark, sf), 0.8))
 query("block_stats", f"WITH {ctes()}, n AS (SELECT name, count(*) AS n FROM r GROUP BY name HAVING count(*) > 1) SELECT count(*) AS n_blocks, max(n) AS largest, round(avg(n), 6) AS mean_size, round(avg((n < 100)::INT), 6) AS below_100 FROM n")(lambda spark, sf: B.block_stats(L.blocks(listings(spark, sf), None)))
@@ -325,13 +343,13 @@ query("block_stats", f"WITH {ctes()}, n AS (SELECT name, count(*) AS n FROM r GR
 # --- clustering ----------------------------------------------------------------------------------------------------
 
 for _v, _all in WHOLE.items():
-    query(f"two_stage_{_v}")(lambda spark, sf, v=_all: L.two_stage(listings(spark, sf, v)))
-    query(f"two_stage_{_v}_exact_k1")(lambda spark, sf, v=_all: L.two_stage(listings(spark, sf, v), k=1, threshold=None))
+    query(f"two_stage_{_v}")(lambda spark, sf, v=_all: method(spark, sf, v))
+    query(f"two_stage_{_v}_exact_k1")(lambda spark, sf, v=_all: method(spark, sf, v, k=1, threshold=None))
 query("core_only")(lambda spark, sf: L.two_stage(listings(spark, sf), stages="core_only"))
-query("cluster_only")(lambda spark, sf: L.two_stage(listings(spark, sf), stages="cluster_only"))
+query("cluster_only")(lambda spark, sf: method(spark, sf, stages="cluster_only"))
 for _i in ("greedy", "exhaustive"):
-    query(f"initialise_{_i}")(lambda spark, sf, i=_i: L.two_stage(listings(spark, sf), settings=Settings(init=i, adjust=False)))
-    query(f"cluster_{_i}")(lambda spark, sf, i=_i: L.two_stage(listings(spark, sf), settings=Settings(init=i)))
+    query(f"initialise_{_i}")(lambda spark, sf, i=_i: method(spark, sf, settings=Settings(init=i, adjust=False)))
+    query(f"cluster_{_i}")(lambda spark, sf, i=_i: method(spark, sf, settings=Settings(init=i)))
 
 # --- baselines and measures ------------------------------------------------------------------------------------------
 
@@ -359,7 +377,7 @@ query("prf_same_name", f"WITH {ctes()}, {SAME}, {PRF}")(lambda spark, sf: B.pair
 query("prf_same_name_95", f"{_SAME95}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.same_name(r := listings(spark, sf), L.NAME), gold(r)))
 query("prf_connected", f"{CONNECTED}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.connected_graph(r := listings(spark, sf)), gold(r)))
 query("prf_edge_partition", f"{_EDGE}, {PRF}")(lambda spark, sf: B.pairwise_prf(B.edge_partition(r := listings(spark, sf)), gold(r)))
-query("prf_two_stage")(lambda spark, sf: B.pairwise_prf(L.two_stage(r := listings(spark, sf)), gold(r)))
+query("prf_two_stage")(lambda spark, sf: B.pairwise_prf(method(spark, sf), gold(listings(spark, sf))))
 _PROFILE = "pf AS (SELECT group_id, count(*) AS n_records, count(DISTINCT name) AS n_names, count(DISTINCT phone) AS n_phones, count(DISTINCT category) AS n_categories FROM r JOIN g USING (rid) GROUP BY group_id), ul AS (SELECT group_id, count(DISTINCT u) AS n_urls FROM (SELECT rid, url AS u FROM r UNION ALL SELECT rid, url2 FROM r) JOIN g USING (rid) GROUP BY group_id)"
 query("group_profile", f"{CONNECTED}, {_PROFILE} SELECT group_id, n_records, n_names, n_phones, coalesce(n_urls, 0) AS n_urls, n_categories FROM pf LEFT JOIN ul USING (group_id)")(lambda spark, sf: B.group_profile(r := listings(spark, sf), B.connected_graph(r)))
 query("top5_groups", f"{CONNECTED}, {_PROFILE} SELECT group_id, n_records, n_names, n_phones, coalesce(n_urls, 0) AS n_urls, n_categories FROM pf LEFT JOIN ul USING (group_id) ORDER BY n_records DESC, group_id LIMIT 5")(lambda spark, sf: B.group_profile(r := listings(spark, sf), B.connected_graph(r)).orderBy(F.desc("n_records"), "group_id").limit(5))
@@ -377,54 +395,90 @@ def compare(spark, runs) -> DataFrame:
 
 
 def _sweep(view: str, variants: dict):
-    """Variants are functions of the records, or settings for the second stage over cores that are found once."""
+    """Variants are functions of the records and the learned weights, or settings for the second stage over cores that are found once.
+
+    Settings run with learned weights, unless they name others."""
 
     def run(spark, sf):
         r = materialise(listings(spark, sf, view), "listings")
-        packed = None
-        runs = []
+        weights, packed, runs = learned(spark, sf, view), None, []
         for name, f in variants.items():
             if isinstance(f, Settings):
-                packed = packed or L.pack(r, method_cores(r))
-                runs.append((name, L.assign(packed, f), r))
+                if packed is None:
+                    pairs = L.close_names(r)
+                    packed = L.pack(r, C.find_cores(G.graph(r, L.NAME, pairs), L.ROBUST), L.CLOSE, pairs)
+                runs.append((name, L.assign(packed, f.but(weights=weights) if f.weights == Weights() else f), r))
+            elif isinstance(f, str):
+                runs.append((name, L.assign(packed, Settings(weights=learned(spark, sf, view, f))), r))
             else:
-                runs.append((name, f(r), r))
+                runs.append((name, f(r, weights), r))
         return compare(spark, runs)
 
     return run
 
 
-def _two(**settings):
-    return lambda r: L.two_stage(r, **settings)
+def _two(**how):
+    return lambda r, w: L.two_stage(r, settings=Settings(weights=w), **how)
+
+
+def _one(f):
+    """A method without weights."""
+    return lambda r, w: f(r)
+
+
+def _after(f):
+    """The second stage over other cores."""
+    return lambda r, w: L.cluster_elements(r, f(r), Settings(weights=w))
 
 
 def _set(**changes) -> Settings:
     return Settings().but(**changes)
 
 
-METHODS = {"same_name": lambda r: B.same_name(r, L.NAME), "same_name_exact": B.same_name, "connected_graph": B.connected_graph, "edge_partition": B.edge_partition, "edge_center": B.edge_star, "edge_merge": lambda r: B.edge_star(r, merge=True), "tfidf_two_stage": lambda r: B.tfidf_assign(r, B.agglomerative_cores(r)), "two_stage": Settings(), "two_stage_exact_k1": _two(k=1, threshold=None)}
+METHODS = {"same_name": _one(lambda r: B.same_name(r, L.NAME)), "same_name_exact": _one(B.same_name), "connected_graph": _one(B.connected_graph), "edge_partition": _one(B.edge_partition), "edge_center": _one(B.edge_star), "edge_merge": _one(lambda r: B.edge_star(r, merge=True)), "tfidf_two_stage": _one(lambda r: B.tfidf_assign(r, B.agglomerative_cores(r))), "two_stage": Settings(), "two_stage_exact_k1": _two(k=1, threshold=None)}
+#: One-stage methods that compare records, of which the best stands for all.
+ONE_STAGE = ("edge_partition", "edge_center", "edge_merge")
 for _v, _all in WHOLE.items():
     query(f"overall_{_v}")(_sweep(_all, METHODS))
+
+
+@query("best_one_stage")
+def best_one_stage(spark, sf):
+    """The one-stage method with the best F on each planted set."""
+    out = None
+    for name, view in WHOLE.items():
+        best = _sweep(view, {m: METHODS[m] for m in ONE_STAGE})(spark, sf).orderBy(F.desc("f"), "variant").limit(1).withColumn("view", F.lit(name))
+        out = best if out is None else out.unionByName(best)
+    return out
+
+
+def _similar_edges(r: DataFrame) -> DataFrame:
+    """Cores over edges of high similarity of all attributes but the location; each edge is a clique."""
+    e = B.weighted_pairs(r)
+    return C.find_cores(e.select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), L.ROBUST)
+
+
 query("ablation_stages")(_sweep("p1", {"both": Settings(), "core_only": _two(stages="core_only"), "cluster_only": _two(stages="cluster_only")}))
-query("ablation_core_strategy")(_sweep("p4p_all", {"full": Settings(), "screen_only": _two(strategy="screen_only"), "agglomerative": lambda r: L.cluster_elements(r, B.agglomerative_cores(r))}))
-query("ablation_edge_rule")(_sweep("p1", {"one_dominant": Settings(), "two_dominant": lambda r: L.cluster_elements(r, C.find_cores(G.two_dominant_cliques(G.value_rows(classed(r))), L.ROBUST)), "similarity": lambda r: L.cluster_elements(r, C.find_cores(B.record_pairs(classed(r)).where("sim > 0.8").select(F.explode(F.array("r1", "r2")).alias("rid"), F.concat_ws("-", F.col("r1").cast("string"), F.col("r2").cast("string")).alias("clique")), L.ROBUST))}))
+query("ablation_core_strategy")(_sweep("p4p_all", {"full": Settings(), "screen_only": _two(strategy="screen_only"), "agglomerative": _after(B.agglomerative_cores)}))
+query("ablation_edge_rule")(_sweep("p1", {"one_dominant": Settings(), "two_dominant": _after(lambda r: C.find_cores(G.two_dominant_cliques(G.value_rows(classed(r))), L.ROBUST)), "similarity": _after(_similar_edges)}))
 query("sweep_k")(_sweep("p1", {f"k{k}": _two(k=k) for k in range(5)}))
 query("sweep_p")(_sweep("p1", {f"p{p}": _set(p=p) for p in (0.8, 0.9, 1.0)}))
 query("sweep_theta")(_sweep("p1", {f"theta{t}": _set(theta=t) for t in (0.5, 0.6, 0.7)}))
 query("sweep_name")(_sweep("p1", {"exact": _two(threshold=None)} | {f"name{t}": _two(threshold=t) for t in (0.8, 0.9, 0.95)}))
-query("ablation_second_stage")(_sweep("p1", {"clustering": Settings(), "vote": lambda r: B.vote_assign(r, method_cores(r)), "tfidf": lambda r: B.tfidf_assign(r, method_cores(r))}))
+query("ablation_second_stage")(_sweep("p1", {"clustering": Settings(), "vote": _one(lambda r: B.vote_assign(r, method_cores(r))), "tfidf": _one(lambda r: B.tfidf_assign(r, method_cores(r)))}))
 query("ablation_clustering")(_sweep("p1", {f"{i}_{a}": _set(init=i, adjust=a == "adjust") for i in ("greedy", "exhaustive") for a in ("adjust", "plain")}))
 query("ablation_value_weight")(_sweep("p1", {w: _set(value_weight=w) for w in ("popularity", "none")}))
+query("ablation_value_weight_p4p")(_sweep("p4p_all", {w: _set(value_weight=w) for w in ("popularity", "none")}))
 query("ablation_dominant")(_sweep("p1", {d: _set(dominant=d) for d in ("united", "separated")}))
-query("ablation_weights")(_sweep("p1", {m: _set(weights=Settings().weights.__class__(mode=m)) for m in ("double", "single")}))
-query("ablation_presets")(_sweep("p1", {"learned": lambda r: L.cluster_elements(r, method_cores(r), _set(weights=learned(r)))} | {n: _set(weights=w) for n, w in PRESETS.items()}))
+query("ablation_weights")(_sweep("p1", {"double": Settings(), "single": "single"}))
+query("ablation_presets")(_sweep("p1", {"learned": Settings()} | {n: (lambda r, w, x=x: L.two_stage(r, settings=_set(weights=x))) if n == "fixed" else _set(weights=x) for n, x in PRESETS.items()}))
 
 
 def _without(*columns):
-    return lambda r: L.two_stage(r.withColumns({c: F.lit(None).cast("string") for c in columns}))
+    return lambda r, w: L.two_stage(r.withColumns({c: F.lit(None).cast("string") for c in columns}), settings=Settings(weights=w))
 
 
-query("ablation_attributes")(_sweep("p4p_all", {"name": lambda r: B.same_name(r, L.NAME), "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
+query("ablation_attributes")(_sweep("p4p_all", {"name": _without("phone", "url", "url2", "state", "category"), "dominant": _without("state", "category"), "category": _without("state"), "state": _without("category"), "all": Settings()}))
 
 
 @query("ladder_fifths")
@@ -441,6 +495,6 @@ def ladder_fifths(spark, sf):
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Groups of the random-chains view by the whole method."""
-    return L.two_stage(listings(spark, sf_dir, "p1"))
+    return method(spark, sf_dir)
 
 

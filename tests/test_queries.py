@@ -17,7 +17,7 @@ from chaincores.plans import robust
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SOME = ["p1_listings", "name_classes_similar_80", "prune_subcliques", "simplified_index", "components_p1", "borders_k2", "screen_round_1", "sim_dom", "silhouette", "tfidf_assign", "vote_assign_round", "prf_connected", "top5_groups", "join_as_of", "window_range", "stream_sessions", "stream_clique_growth"]
+SOME = ["p1_listings", "learned_weights", "name_classes_similar_80", "prune_subcliques", "simplified_index", "components_p1", "borders_k2", "screen_round_1", "sim_dom", "silhouette", "tfidf_assign", "vote_assign_round", "prf_connected", "top5_groups", "join_as_of", "window_range", "stream_sessions", "stream_clique_growth"]
 
 
 @pytest.fixture(scope="module")
@@ -42,10 +42,11 @@ def test_equals_sql(spark, duck, name):
     assert got == sorted(repr(tuple(plain(r[i]) for i in at)) for r in cur.fetchall())
 
 
-def test_components_brute_force(spark):
+@pytest.mark.parametrize("local", [0, 10_000])
+def test_components_brute_force(spark, local):
     rng = random.Random(3)
     edges = [(rng.randrange(200), rng.randrange(200)) for _ in range(120)] + [(i, i + 1) for i in range(300, 340)] + [(500, 500), (None, 3)]
-    got = {r.node: r.comp for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    got = {r.node: r.comp for r in components(spark.createDataFrame(edges, "a long, b long"), local=local).collect()}
     want = {}
     for p in robust.pieces({x for e in edges if None not in e for x in e}, [frozenset(e) for e in edges if None not in e]):
         want |= dict.fromkeys(p, min(p))
@@ -91,8 +92,10 @@ def test_all_similar_pairs(spark, duck, name):
 def test_learned_weights_come_from_labels(spark):
     rows = [(1, "abcd", "5", 1), (2, "abcd", "5", 1), (3, "abcd", "6", 2), (4, "abcde", "7", 3)]
     df = spark.createDataFrame([(i, n, p, None, g) for i, n, p, g in rows], "rid long, name string, phone string, url string, gold long")
-    w = q.learned(df)
-    assert w.com == (1 / 3, 1.0) and w.dom == (1.0, 1.0)
+    w = L.weights_of(L.learn_weights(df, q.gold(df), block_threshold=0.8))
+    # names: of 6 pairs 3 agree, 1 of them in one group; distinct values have one pair more for and against
+    assert w.com == (2 / 5, 4 / 5) and w.com_distinct == (1 / 2, 4 / 5)
+    assert w.dom_distinct == (2 / 3, 6 / 7) and w.dom == w.dom_distinct
 
 
 def test_similar_pairs_differ_in_first_letters(spark):
