@@ -163,7 +163,7 @@ def near_components(docs: DataFrame, k: int = 3, bits: int = BITS) -> DataFrame:
     """
     f = materialise(fingerprints(docs, k), "fingerprints")
     nodes = f.groupBy("fp").agg(F.min("doc_id").alias("low"))
-    comps = materialise(components(links(nodes, bits)), "components")
+    comps = materialise(components(links(nodes, bits), local=0), "components")
     all_nodes = nodes.join(comps.withColumnRenamed("node", "fp"), "fp", "left").withColumn("comp", F.coalesce("comp", "fp"))
     low = all_nodes.groupBy("comp").agg(F.min("low").alias("component_id"))
     per_fp = all_nodes.select("fp", "comp").join(low, "comp").select("fp", "component_id")
