@@ -113,6 +113,16 @@ def graph_stats(incidence: DataFrame) -> DataFrame:
     return c.crossJoin(i).crossJoin(n)  # one row each
 
 
+def exact_stats(incidence: DataFrame) -> DataFrame:
+    """One row: edges without repetition, index rows before and after simplification, their ratio, and characters of both."""
+    cliques = incidence.select(F.col("rid").alias("r2"), "clique")
+    edges = incidence.join(cliques, "clique").where("rid < r2").select("rid", "r2").distinct().agg(F.count("*").alias("edges"))
+    before, after = inverted_index(incidence), simplify(incidence)[0]
+    size = lambda d, x: d.agg(F.count("*").alias(f"{x}_entries"), F.sum(F.size("cliques")).alias(f"{x}_rows"), F.sum(F.length(F.concat_ws(";", "cliques"))).alias(f"{x}_chars"))
+    one = edges.crossJoin(size(before, "index")).crossJoin(size(after, "simplified"))  # one row each
+    return one.withColumn("smaller_by", F.round(1 - F.col("simplified_entries") / F.col("index_entries"), 6))
+
+
 def record_components(incidence: DataFrame) -> DataFrame:
     """rid, comp: components of records (comp is the smallest rid), through stars of each clique."""
     low = incidence.groupBy("clique").agg(F.min("rid").alias("a"))

@@ -77,11 +77,21 @@ def _rows(view: str, d: Dialect, n: str) -> str:
           case when {h('rid', 'r')} % 100 < 15 then null when single or {h('rid', 'r')} % 100 >= 90 then 'freemail' else {t('server', 'inst')} end as url,
           cast(null as {'string' if d.spark else 'varchar'}) as url2
         from (select c_custkey as rid, {h('c_custkey', 's')} % 100 < 27 as single, {h('c_custkey', 'c')} % greatest(1, {f'{n}' if whole else f'({n} * 2 {div} 5)'} * 71 {div} 590) as inst from customer{some}) b"""
+    if view == "p5_raw":
+        base = d.name("i", "inst")
+        text = "string" if d.spark else "varchar"
+        return f"""
+        select rid, case when single then -rid - 1 else inst end as gold,
+          concat(case when single then {d.name('u', 'rid')} else {base} end, case {h('rid', 'v')} % 10 when 0 then ' lab' when 1 then ' dept' else '' end) as name,
+          case when {h('rid', 'p')} % 100 >= 25 then concat(cast(100 + (case when single then rid * 7 else inst end) % 900 as {text}), {t('-55', 'rid')}) end as phone,
+          case when {h('rid', 'r')} % 100 >= 15 then concat({t('u', 'rid')}, '@', case when single or {h('rid', 'r')} % 100 >= 90 then 'freemail' else {t('server', 'inst')} end, '.org') end as url,
+          case when {h('rid', 'a')} % 100 < 60 then concat({d.name('street', 'case when single then -rid else inst end')}, {t(' road ', 'rid % 7')}) end as url2
+        from (select c_custkey as rid, {h('c_custkey', 's')} % 100 < 27 as single, {h('c_custkey', 'c')} % greatest(1, {n} * 71 {div} 590) as inst from customer) b"""
     raise ValueError(view)
 
 
-#: The ``_all`` views have all customer rows, with chains in proportion.
-VIEWS = ("p1", "p2", "p3", "p4", "p4p", "p5", "n2", "p3_all", "p4_all", "p4p_all", "p5_all")
+#: The ``_all`` views have all customer rows, with chains in proportion; ``p5_raw`` has whole phone numbers, mail and street addresses.
+VIEWS = ("p1", "p2", "p3", "p4", "p4p", "p5", "n2", "p3_all", "p4_all", "p4p_all", "p5_all", "p5_raw")
 WHOLE = {"p1": "p1", "p2": "p2", "p3": "p3_all", "p4": "p4_all", "p4p": "p4p_all", "p5": "p5_all"}
 
 
