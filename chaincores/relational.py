@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
@@ -243,3 +244,76 @@ def partitioned_scan(s, d):
     path = f"{shared_dir(s)}/chaincores/by-status-{uuid.uuid4().hex}"
     T(s, d, "orders").select("o_orderkey", "o_orderstatus").repartition("o_orderstatus").write.partitionBy("o_orderstatus").parquet(path)
     return s.read.parquet(path).where("o_orderstatus = 'F'").select("o_orderkey", "o_orderstatus")
+
+
+@query("bucketed_join", "SELECT o_orderkey, sum(l_quantity) AS quantity FROM orders JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey")
+def bucketed_join(s, d):
+    """Both sides written in buckets of the key: the join and the aggregation read them without an exchange."""
+    import uuid
+
+    key, names = uuid.uuid4().hex, []
+    for t, column in (("orders", "o_orderkey"), ("lineitem", "l_orderkey")):
+        names.append(f"chaincores_{t}_{key}")
+        df = T(s, d, t).select(column) if t == "orders" else T(s, d, t).select(column, "l_quantity")
+        df.write.bucketBy(8, column).sortBy(column).option("path", f"{shared_dir(s)}/chaincores/{names[-1]}").saveAsTable(names[-1])
+    o, li = (s.read.table(n) for n in names)
+    return o.join(li.hint("merge"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderkey").agg(F.sum("l_quantity").alias("quantity"))
+
+
+@query("aggregate_noisy_or", "SELECT event_type, user_id, round(1 - product(1 - 0.8::DOUBLE * w), 6) AS strength FROM (SELECT event_type, user_id, json_extract_string(props, '$.k') AS k, count(*) / 100::DOUBLE AS w FROM events GROUP BY ALL) GROUP BY event_type, user_id")
+def aggregate_noisy_or(s, d):
+    """A grouped aggregate over Arrow batches: the chance that any of several pieces of evidence holds."""
+
+    def noisy_or(x: pd.Series) -> float:
+        return float(1 - (1 - 0.8 * x).prod())
+
+    counted = T(s, d, "events").groupBy("event_type", "user_id", F.get_json_object("props", "$.k").alias("k")).agg((F.count("*") / F.lit(100.0)).alias("w"))
+    return counted.groupBy("event_type", "user_id").agg(F.round(F.pandas_udf(noisy_or, "double")("w"), 6).alias("strength"))
+
+
+@query("table_function_pairs", "SELECT l_orderkey, a.l_partkey AS p1, b.l_partkey AS p2 FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) a JOIN (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) b USING (l_orderkey) WHERE a.l_partkey < b.l_partkey")
+def table_function_pairs(s, d):
+    """Pairs of an array by a table function, as used where a record lies in several cliques."""
+
+    @F.udtf(returnType="p1: bigint, p2: bigint")
+    class RecordPairs:
+        def eval(self, items: list):
+            for i, a in enumerate(items):
+                for b in items[i + 1 :]:
+                    yield a, b
+
+    s.udtf.register("record_pairs", RecordPairs)
+    baskets = T(s, d, "lineitem").groupBy("l_orderkey").agg(F.sort_array(F.collect_set("l_partkey")).alias("parts"))
+    return s.sql("select l_orderkey, p1, p2 from {b} b, lateral record_pairs(b.parts)", b=baskets)
+
+
+@query("vector_cosine", "SELECT a.vec_id AS v1, b.vec_id AS v2, round(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda p: p[1]::DOUBLE * p[2]::DOUBLE)) / sqrt(list_sum(list_transform(a.embedding, lambda x: x::DOUBLE * x::DOUBLE)) * list_sum(list_transform(b.embedding, lambda x: x::DOUBLE * x::DOUBLE))), 5) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
+def vector_cosine(s, d):
+    """Cosine of each vector and the next one."""
+    v = T(s, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b)
+    both = v.select(F.col("vec_id").alias("v1"), F.col("v").alias("x")).join(v.select(F.col("vec_id").alias("v2"), F.col("v").alias("y")), F.col("v2") == F.col("v1") + 1)
+    return both.select("v1", "v2", F.round(dot("x", "y") / F.sqrt(dot("x", "x") * dot("y", "y")), 5).alias("cosine"))
+
+
+@query("vector_sign_buckets", "SELECT bucket, count(*) AS n, min(vec_id) AS first FROM (SELECT vec_id, array_to_string(list_transform(embedding[1:8], lambda x: CASE WHEN x > 0 THEN '1' ELSE '0' END), '') AS bucket FROM embeddings) GROUP BY bucket")
+def vector_sign_buckets(s, d):
+    """Vectors as discrete values: signs of the first eight components, a dominant value for the linkage."""
+    bits = F.array_join(F.transform(F.slice("embedding", 1, 8), lambda x: F.when(x > 0, "1").otherwise("0")), "")
+    return T(s, d, "embeddings").groupBy(bits.alias("bucket")).agg(F.count("*").alias("n"), F.min("vec_id").alias("first"))
+
+
+@query("text_round_trip", "SELECT count(*) AS n, count(DISTINCT n_name) AS names FROM nation")
+def text_round_trip(s, d):
+    """One column as lines of text files."""
+    import uuid
+
+    path = f"{shared_dir(s)}/chaincores/trip-text-{uuid.uuid4().hex}"
+    T(s, d, "nation").select("n_name").write.text(path)
+    return s.read.text(path).agg(F.count("*").alias("n"), F.countDistinct("value").alias("names"))
+
+
+@query("approximate_top_k", "SELECT count(*) AS n_values FROM (SELECT DISTINCT user_id FROM events)")
+def approximate_top_k(s, d):
+    """Distinct count by a sketch: exact below the sketch's size, which these few users are."""
+    return T(s, d, "events").agg(F.hll_sketch_estimate(F.hll_sketch_agg("user_id", F.lit(12))).alias("n_values"))
