@@ -2,7 +2,7 @@
 
 The windows of all benchmark items (ten consecutive words; a shorter item is one window) form a
 broadcast hash set, if their counted size allows; else the same join shuffles. Every document's
-windows are hashed and looked up; hits are verified word by word on the documents that had any.
+windows are hashed and looked up; hits are verified word by word on the documents that had any, by their spelling.
 """
 
 from __future__ import annotations
@@ -10,12 +10,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..session import materialise
 from .common import LOWER, UPPER
 
 WINDOW = 10
-#: Windows of the benchmark up to which the set is broadcast (24 bytes each).
-BROADCAST_WINDOWS = 4_000_000
-BROADCAST_HITS = 200_000
+#: Windows of the benchmark up to which the set is broadcast (24 bytes each); documents with hits up to which their keys are.
+BROADCAST_WINDOWS, BROADCAST_HITS = 4_000_000, 1_000_000
 _OTHER = "".join(chr(c) for c in [*range(0x00, 0x30), *range(0x3A, 0x41), *range(0x5B, 0x61), *range(0x7B, 0x80)])
 
 
@@ -26,10 +26,11 @@ def words(text: Column) -> Column:
     return F.coalesce(F.array_remove(F.split(blank, " "), ""), F.array().cast("array<string>"))
 
 
-def _windows(w: Column, length: int) -> Column:
-    """Hashes of all windows of ``length`` words, in order."""
-    n = F.size(w) - (length - 1)
-    return F.when(n > 0, F.transform(F.sequence(F.lit(1), n), lambda i: F.xxhash64(F.slice(w, i, F.lit(length))))).otherwise(F.array().cast("array<bigint>"))
+def _windows(w: Column, lengths: list[int]) -> Column:
+    """pos, len, h of all windows of these numbers of words, in order."""
+    one = lambda n: F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.struct(i.alias("pos"), F.lit(n).alias("len"), F.xxhash64(F.slice(w, i + 1, F.lit(n))).alias("h")))
+    none = F.array().cast("array<struct<pos:int,len:int,h:bigint>>")
+    return F.concat(none, *[F.when(F.size(w) >= n, one(n)).otherwise(none) for n in lengths])
 
 
 def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -40,48 +41,48 @@ def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     return b.groupBy("len", "g").agg(F.array_sort(F.collect_set(F.col("item_id").cast("string"))).alias("items")).select(F.xxhash64("g").alias("h"), "len", F.array_join("g", " ").alias("win"), "items")
 
 
+def key() -> Column:
+    """Equal rows (doc_id and text) share a key, and their hits."""
+    return F.unhex(F.md5(F.concat_ws("|", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), "text")))
+
+
 def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """Columns of ``docs`` plus _w (words) and _hits (verified array of pos, len, items; null where none).
+    """``docs(doc_id, text)`` -> key, n_hit (words), items (sorted), for the documents with verified hits; one row per :func:`key`.
 
-    Rows keep their number: equal rows (same doc_id and text) share their hits. Null texts have no words.
-    Columns that start with an underscore are taken for own use.
+    All documents are read once for their hashed windows, and only those that have any of the set once more for their words.
+    The texts themselves are shuffled only if documents with hits are too many for a broadcast of their keys.
     """
-    grams = benchmark_windows(benchmark, window)
+    grams = materialise(benchmark_windows(benchmark, window), "grams")
     counts = {r["len"]: r["n"] for r in grams.groupBy("len").agg(F.count("*").alias("n")).collect()}  # at most `window` rows
-    small = sum(counts.values()) <= BROADCAST_WINDOWS
-    key = F.xxhash64(F.coalesce(F.col("doc_id"), F.lit(-1)), F.col("text"))
-    probe = docs.where("text is not null").select(F.col("doc_id").alias("id"), key.alias("key"), words(F.col("text")).alias("w"))
-    found = None
-    for length in sorted(counts, reverse=True):
-        side = grams.where(F.col("len") == length).groupBy("h").agg(F.collect_list(F.struct("win", "items")).alias("all"))
-        one = probe.select("id", "key", F.posexplode(_windows(F.col("w"), length)).alias("pos", "h")).join(F.broadcast(side) if small else side, "h")
-        one = one.select("id", "key", F.struct(F.col("pos").alias("pos"), F.lit(length).alias("len"), F.col("all")).alias("hit"))
-        found = one if found is None else found.unionByName(one)
-    if found is None:
-        empty = "array<struct<pos:int,len:int,items:array<string>>>"
-        return docs.withColumns({"_w": words(F.col("text")), "_hits": F.lit(None).cast(empty)})
-    found = found.groupBy("id", "key").agg(F.collect_set("hit").alias("hits"))
-    out = docs.withColumns({"_key": key, "_w": words(F.col("text"))})
-    out = out.join(found.select(F.col("key").alias("_k"), F.col("hits").alias("_raw")), F.col("_key") == F.col("_k"), "left")
-    spelled = lambda h: F.array_join(F.slice("_w", h["pos"] + 1, h["len"]), " ")
-    kept = F.transform(F.col("_raw"), lambda h: F.struct(h["pos"].alias("pos"), h["len"].alias("len"), F.flatten(F.transform(F.filter(h["all"], lambda g: g["win"] == spelled(h)), lambda g: g["items"])).alias("items")))
-    return out.withColumn("_hits", F.filter(kept, lambda h: F.size(h["items"]) > 0)).drop("_key", "_k", "_raw")
-
-
-def _hit_words() -> Column:
-    spans = F.flatten(F.transform(F.col("_hits"), lambda h: F.sequence(h["pos"], h["pos"] + h["len"] - 1)))
-    return F.coalesce(F.size(F.array_distinct(spans)), F.lit(0)).cast("long")
+    side = grams.groupBy("h", "len").agg(F.collect_list(F.struct("win", "items")).alias("all"))
+    if sum(counts.values()) <= BROADCAST_WINDOWS:
+        side = F.broadcast(side)
+    probe = docs.where("text is not null").select(key().alias("key"), words(F.col("text")).alias("w"))
+    probe = probe.select("key", F.explode(_windows(F.col("w"), sorted(counts))).alias("x")).select("key", "x.*")
+    found = materialise(probe.join(side, ["h", "len"]).groupBy("key").agg(F.collect_set(F.struct("pos", "len", "all")).alias("raw")), "hits")
+    few = found.count() <= BROADCAST_HITS
+    texts = docs.where("text is not null").select(key().alias("key"), "text").join(_maybe(found.select("key"), few), "key", "left_semi").select("key", words(F.col("text")).alias("w")).dropDuplicates(["key"])
+    spelled = lambda h: F.array_join(F.slice("w", h["pos"] + 1, h["len"]), " ")
+    kept = F.transform(F.col("raw"), lambda h: F.struct(h["pos"].alias("pos"), h["len"].alias("len"), F.flatten(F.transform(F.filter(h["all"], lambda g: g["win"] == spelled(h)), lambda g: g["items"])).alias("items")))
+    hits = texts.join(found, "key").select("key", F.filter(kept, lambda h: F.size(h["items"]) > 0).alias("hits")).where(F.size("hits") > 0)
+    spans = F.flatten(F.transform("hits", lambda h: F.sequence(h["pos"], h["pos"] + h["len"] - 1)))
+    return hits.select("key", F.size(F.array_distinct(spans)).cast("long").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten(F.col("hits.items")))).alias("items"))
+
+
+def _maybe(df: DataFrame, small: bool) -> DataFrame:
+    return F.broadcast(df) if small else df
 
 
 def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated; one row per row of ``docs``."""
-    d = find_hits(docs.select("doc_id", "text"), benchmark, window)
-    items = F.coalesce(F.array_sort(F.array_distinct(F.flatten(F.col("_hits.items")))), F.array().cast("array<string>"))
-    n_hit = _hit_words()
-    return d.select("doc_id", F.size("_w").cast("long").alias("n_words"), n_hit.alias("n_hit"), F.size(items).cast("long").alias("n_items"), F.sha2(F.array_join(items, ","), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"))
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated; one row per row of ``docs``. Null texts have no words."""
+    d = docs.select("doc_id", "text")
+    hits = materialise(find_hits(d, benchmark, window), "contaminated")
+    d = d.select("doc_id", F.size(words(F.col("text"))).cast("long").alias("n_words"), key().alias("key")).join(_maybe(hits, hits.count() <= BROADCAST_HITS), "key", "left")
+    items, n_hit = F.coalesce("items", F.array().cast("array<string>")), F.coalesce("n_hit", F.lit(0))
+    return d.select("doc_id", "n_words", n_hit.cast("long").alias("n_hit"), F.size(items).cast("long").alias("n_items"), F.sha2(F.array_join(items, ","), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, min_words: int = WINDOW) -> DataFrame:
-    """``docs`` without the rows of which at least ``min_words`` words lie in benchmark windows."""
-    d = find_hits(docs, benchmark, window)
-    return d.where(_hit_words() < min_words).select(*docs.columns)
+    """``docs`` without the rows of which at least ``min_words`` (one or more) words lie in benchmark windows; columns as they were."""
+    hits = materialise(find_hits(docs.select("doc_id", "text"), benchmark, window).where(F.col("n_hit") >= max(1, min_words)).select(F.col("key").alias("_key_of_hit")), "contaminated")
+    return docs.join(_maybe(hits, hits.count() <= BROADCAST_HITS), key() == F.col("_key_of_hit"), "left_anti").select(*docs.columns)
