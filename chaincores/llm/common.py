@@ -25,6 +25,13 @@ def n_words(c: Column) -> Column:
     return F.coalesce(F.regexp_count(c, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
 
 
+def spread(text: Column, most: int, pieces: int = 8) -> Column:
+    """A text of up to ``most`` characters as it is; of a longer one, so many in evenly spaced pieces: for samples that models learn from."""
+    n, size = F.char_length(text), most // pieces
+    some = F.concat_ws(" ", F.transform(F.sequence(F.lit(0), F.lit(pieces - 1)), lambda i: F.substring(text, 1 + F.floor(i * (n - size) / (pieces - 1)).cast("int"), F.lit(size))))
+    return F.when(n > most, some).otherwise(text)
+
+
 def utf8(column: pa.Array) -> list[bytes]:
     """UTF-8 bytes of each text; null is empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]

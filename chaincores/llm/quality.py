@@ -17,11 +17,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import sums, word_codes
+from .common import spread, sums, word_codes
 
 #: Labelled rows that a model is fitted on at most; they are drawn by a hash of the id.
 SAMPLE, WIDTH, STEPS, RATE, DECAY = 5_000, 1 << 17, 100, 0.3, 1e-6
 SCALE = 20.0
+#: Characters of a text that a model learns from at most, in evenly spaced pieces; all of every text is scored.
+LEARN = 16_384
 _RUNS = ((re.compile(r"[a-z]+"), "a"), (re.compile(r"[A-Z]+"), "A"), (re.compile(r"[0-9]+"), "0"), (re.compile(r"[^\x00-\x7f]+"), "x"))
 
 
@@ -108,7 +110,7 @@ def fit(docs: DataFrame, labels: DataFrame, grade: str = "quality", most: int =
             yield pa.record_batch([b.column(0), b.column(2), pa.array(out_i, pa.list_(pa.int32())), pa.array(out_v, pa.list_(pa.float32()))], names=["doc_id", "y", "ids", "vals"])
 
     chosen = sample_labels(labels, grade, most)
-    rated = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", F.col(grade).cast("double").alias("y"))
+    rated = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", spread(F.col("text"), LEARN).alias("text"), F.col(grade).cast("double").alias("y"))
     got = rated.mapInArrow(run, "doc_id long, y double, ids array<int>, vals array<float>").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")])
     ids, vals = (got[c].combine_chunks() for c in ("ids", "vals"))
     lens = ids.value_lengths().to_numpy(zero_copy_only=False)

@@ -10,11 +10,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import gru
-from .common import word_codes
+from .common import spread, word_codes
 from .quality import sample_labels
 
 #: Labelled documents of each class that the network is fitted on at most, drawn by a hash of the id.
 PER_CLASS, KEEP, EPOCHS = 1_500, 400_000, 5
+#: Characters of a text that the network learns from at most, in evenly spaced pieces; all of every text is scored.
+LEARN = 16_384
 
 
 def held_out(doc_id="doc_id"):
@@ -31,7 +33,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", per_class: int
         net.p["o"][:] = 0
         return net, 4.0 if 1 in share else -4.0
     drawn = sample_labels(known.where(f"{label} = 1"), label, per_class).unionByName(sample_labels(known.where(f"{label} = 0"), label, 2 * per_class))
-    got = docs.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").select("doc_id", "text", F.col(label).cast("int").alias("y")).toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")]).combine_chunks()
+    got = docs.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").select("doc_id", spread(F.col("text"), LEARN).alias("text"), F.col(label).cast("int").alias("y")).toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")]).combine_chunks()
     if not len(got):
         return gru.Network(), 0.0
     codes, words, counts = word_codes(got["text"].combine_chunks())
