@@ -27,18 +27,24 @@ def words(text: Column) -> Column:
 
 
 def _windows(w: Column, lengths: list[int]) -> Column:
-    """pos, len, h of all windows of these numbers of words, in order."""
-    one = lambda n: F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.struct(i.alias("pos"), F.lit(n).alias("len"), F.xxhash64(F.slice(w, i + 1, F.lit(n))).alias("h")))
-    none = F.array().cast("array<struct<pos:int,len:int,h:bigint>>")
+    """Hashes of all windows of these numbers of words: in order, one length after the other."""
+    none = F.array().cast("array<bigint>")
+    one = lambda n: F.transform(F.sequence(F.lit(1), F.size(w) - (n - 1)), lambda i: F.xxhash64(F.slice(w, i, F.lit(n)), F.lit(n)))
     return F.concat(none, *[F.when(F.size(w) >= n, one(n)).otherwise(none) for n in lengths])
 
 
+def _place(at: Column, n: Column, length: Column, lengths: list[int]) -> Column:
+    """First word of the window that :func:`_windows` lists at a place, of a text of n words."""
+    before = sum((F.when(length > m, F.greatest(n - (m - 1), F.lit(0))).otherwise(0) for m in lengths), F.lit(0))
+    return at - before
+
+
 def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """``benchmark(item_id, text)`` -> h, len, win (the words, space-joined), items: one row per distinct window."""
     b = benchmark.select("item_id", words(F.col("text")).alias("w")).where(F.size("w") > 0)
     length = F.least(F.size("w"), F.lit(window))
     b = b.select("item_id", length.alias("len"), F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - length + 1), lambda i: F.slice("w", i, length))).alias("g"))
-    return b.groupBy("len", "g").agg(F.array_sort(F.collect_set(F.col("item_id").cast("string"))).alias("items")).select(F.xxhash64("g").alias("h"), "len", F.array_join("g", " ").alias("win"), "items")
+    return b.groupBy("len", "g").agg(F.array_sort(F.collect_set(F.col("item_id").cast("string"))).alias("items")).select(F.xxhash64("g", "len").alias("h"), "len", F.array_join("g", " ").alias("win"), "items")
 
 
 def key() -> Column:
@@ -54,19 +60,20 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> Da
     """
     grams = materialise(benchmark_windows(benchmark, window), "grams")
     counts = {r["len"]: r["n"] for r in grams.groupBy("len").agg(F.count("*").alias("n")).collect()}  # at most `window` rows
-    side = grams.groupBy("h", "len").agg(F.collect_list(F.struct("win", "items")).alias("all"))
+    side, lengths = grams.groupBy("h").agg(F.collect_list(F.struct("len", "win", "items")).alias("all")), sorted(counts)
     if sum(counts.values()) <= BROADCAST_WINDOWS:
         side = F.broadcast(side)
     probe = docs.where("text is not null").select(key().alias("key"), words(F.col("text")).alias("w"))
-    probe = probe.select("key", F.explode(_windows(F.col("w"), sorted(counts))).alias("x")).select("key", "x.*")
-    found = materialise(probe.join(side, ["h", "len"]).groupBy("key").agg(F.collect_set(F.struct("pos", "len", "all")).alias("raw")), "hits")
+    probe = probe.select("key", F.size("w").alias("n"), F.posexplode(_windows(F.col("w"), lengths)).alias("at", "h"))
+    met = probe.join(side, "h").select("key", "n", "at", F.explode("all").alias("g"))
+    found = met.select("key", F.struct(_place(F.col("at"), F.col("n"), F.col("g.len"), lengths).alias("pos"), "g").alias("hit"))
+    found = materialise(found.groupBy("key").agg(F.collect_set("hit").alias("raw")), "hits")
     few = found.count() <= BROADCAST_HITS
     texts = docs.where("text is not null").select(key().alias("key"), "text").join(_maybe(found.select("key"), few), "key", "left_semi").select("key", words(F.col("text")).alias("w")).dropDuplicates(["key"])
-    spelled = lambda h: F.array_join(F.slice("w", h["pos"] + 1, h["len"]), " ")
-    kept = F.transform(F.col("raw"), lambda h: F.struct(h["pos"].alias("pos"), h["len"].alias("len"), F.flatten(F.transform(F.filter(h["all"], lambda g: g["win"] == spelled(h)), lambda g: g["items"])).alias("items")))
-    hits = texts.join(found, "key").select("key", F.filter(kept, lambda h: F.size(h["items"]) > 0).alias("hits")).where(F.size("hits") > 0)
-    spans = F.flatten(F.transform("hits", lambda h: F.sequence(h["pos"], h["pos"] + h["len"] - 1)))
-    return hits.select("key", F.size(F.array_distinct(spans)).cast("long").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten(F.col("hits.items")))).alias("items"))
+    spelled = lambda h: F.array_join(F.slice("w", F.greatest(h["pos"], F.lit(0)) + 1, h["g"]["len"]), " ")
+    hits = texts.join(found, "key").select("key", F.filter("raw", lambda h: h["g"]["win"] == spelled(h)).alias("hits")).where(F.size("hits") > 0)
+    spans = F.flatten(F.transform("hits", lambda h: F.sequence(h["pos"], h["pos"] + h["g"]["len"] - 1)))
+    return hits.select("key", F.size(F.array_distinct(spans)).cast("long").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten(F.col("hits.g.items")))).alias("items"))
 
 
 def _maybe(df: DataFrame, small: bool) -> DataFrame:
