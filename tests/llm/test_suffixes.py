@@ -7,26 +7,35 @@ import numpy as np
 from chaincores.llm import induced, suffixes
 
 
+def check_order(b, limit, memory):
+    pos, lcp = (np.concatenate(x).tolist() for x in zip(*induced.sorted_suffixes(induced.Symbols(np.frombuffer(b, np.uint8), 256), limit, memory), strict=True))
+    assert sorted(pos) == list(range(len(b)))
+    keys = [b[p : p + limit] for p in pos]
+    assert keys == sorted(keys, reverse=True)
+    for p, q, n in zip(pos, pos[1:], lcp[1:]):
+        assert n == next((i for i in range(limit) if max(p, q) + i >= len(b) or b[p + i] != b[q + i]), limit)
+
+
 def test_order_and_prefixes_against_brute_force():
     rng = random.Random(1)
-    for _ in range(400):
-        b = bytes(rng.choice(rng.choice([b"ab", b"abc", b"a", bytes(range(97, 117))])) for _ in range(rng.randrange(1, 60)))
+    for _ in range(600):
+        b = bytes(rng.choice(rng.choice([b"ab", b"abc", b"a", b"a\x00b", bytes(range(97, 117))])) for _ in range(rng.randrange(1, 90)))
         b += b[: rng.randrange(len(b)) + 1] + bytes([induced.END])
-        limit = rng.choice([2, 4, 8, 50])
-        parts = {"L": [[] for _ in range(256)], "S": [[] for _ in range(256)]}
-        for pos, lcp, part in induced.sorted_suffixes(np.frombuffer(b, np.uint8), limit, rng.choice([1, 64, 1 << 20])):
-            if part != "B":
-                for p, n in zip(pos.tolist(), lcp.tolist(), strict=True):
-                    parts[part][b[p]].append((p, n))
-        order = [p for c in range(256) for p, _ in parts["L"][c] + parts["S"][c][::-1]]
-        assert sorted(order) == list(range(len(b)))
-        keys = [b[p : p + limit] for p in order]
-        assert keys == sorted(keys)
-        for side in parts.values():
-            for bucket in side:
-                for (p, _), (q, n) in zip(bucket, bucket[1:]):
-                    same = next((i for i in range(limit) if max(p, q) + i >= len(b) or b[p + i] != b[q + i]), limit)
-                    assert n == same
+        check_order(b, rng.choice([2, 4, 8, 50]), rng.choice([1, 64, 1 << 20]))
+
+
+def test_recursion_with_memory_far_below_the_text(monkeypatch):
+    """Words of few letters repeat at all lengths, so several levels are needed; queues and arrays lie on disk."""
+    levels = []
+    run = induced.sort_stars
+    monkeypatch.setattr(induced, "sort_stars", lambda s, stars, *more: (levels.append((s.size, len(stars))), run(s, stars, *more))[1])
+    monkeypatch.setattr(induced, "BATCH", 1000)
+    rng = random.Random(3)
+    words = [bytes(rng.choice(b"abcd") for _ in range(rng.randrange(2, 9))) for _ in range(60)]
+    text = b" ".join(rng.choice(words) for _ in range(6000))
+    text = text + b"|" + text[5000:9000] + bytes([induced.END])
+    check_order(text, 100, 4096)
+    assert len(levels) >= 4 and all(x[1] * 2 <= len(text) for x in levels) and max(size for size, _ in levels) > 256
 
 
 def brute(texts, length):
