@@ -223,6 +223,10 @@ class Block:
         return wc / (wc + wd) if wc + wd else 0.0
 
     def initialise(self) -> None:
+        """Cores are clusters; a satellite joins the best one above the threshold, else it is a cluster of its own.
+
+        It joins no satellite: a cluster without core may hold only one.
+        """
         cores = sorted((e for e in self.elements.values() if e.is_core), key=lambda e: e.eid)
         with_core = {self.new([e]) for e in cores}
         rest = sorted((e for e in self.elements.values() if not e.is_core), key=lambda e: (-sum(k[0] == "dom" for k in e.values), e.eid))

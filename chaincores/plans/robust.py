@@ -208,3 +208,38 @@ def is_robust(cliques, k: int) -> bool:
     if any(nodes <= c for c in cliques):
         return True
     return all(len(pieces(nodes - set(gone), [c - set(gone) for c in cliques if c - set(gone)])) == 1 for n in range(k + 1) for gone in combinations(sorted(nodes), n) if nodes - set(gone))
+
+
+def partitionings(nodes: list) -> list[list[frozenset]]:
+    """All ways to part a few nodes."""
+    if not nodes:
+        return [[]]
+    first, out = nodes[0], []
+    for rest in partitionings(nodes[1:]):
+        out += [[frozenset({first}), *rest], *([*rest[:i], rest[i] | {first}, *rest[i + 1 :]] for i in range(len(rest)))]
+    return out
+
+
+def maximal_partitionings(cliques, k: int) -> list[list[frozenset]]:
+    """By definition, for graphs of up to eight nodes: parts are robust, and no union of several parts is."""
+    cliques = [frozenset(c) for c in cliques]
+    nodes = sorted(set().union(*cliques))
+    if len(nodes) > 8:
+        raise ValueError("the definition is tried on up to eight nodes")
+    known: dict = {}
+
+    def robust(part: frozenset) -> bool:
+        if part not in known:
+            known[part] = is_robust([c & part for c in cliques if c & part] + [{n} for n in part], k)
+        return known[part]
+
+    return [p for p in partitionings(nodes) if all(map(robust, p)) and not any(robust(frozenset().union(*some)) for n in range(2, len(p) + 1) for some in combinations(p, n))]
+
+
+def definitional_cores(cliques, k: int) -> list[set]:
+    """Nodes, two at least, that lie in one part in every maximal robust partitioning."""
+    found = maximal_partitionings(cliques, k)
+    together: dict = defaultdict(set)
+    for n in set().union(*cliques):
+        together[tuple(next(i for i, part in enumerate(p) if n in part) for p in found)].add(n)
+    return sorted((c for c in together.values() if len(c) > 1), key=min)

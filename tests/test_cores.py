@@ -111,3 +111,99 @@ def test_scores_after_changes_equal_fresh_ones():
         fresh.refresh()
         assert abs(b.index() - fresh.index()) < 1e-9 and b.index() >= before - 1e-9
         assert all(c.valid() for c in b.clusters.values())
+
+
+def test_definition_on_the_worked_examples():
+    second = [{11, 12, 13}, {12, 13, 14, 15}, {13, 16, 17, 18}]
+    got = {frozenset(p) for p in robust.maximal_partitionings(second, 1)}
+    want = [[{11}, {12, 14, 15}, {13, 16, 17, 18}], [{11, 12}, {14, 15}, {13, 16, 17, 18}], [{11, 12, 13, 14, 15}, {16, 17, 18}]]
+    assert got == {frozenset(map(frozenset, p)) for p in want}
+    assert robust.definitional_cores(second, 1) == [{14, 15}, {16, 17, 18}] == robust.solve([frozenset(c) for c in second], ones(second), 1)
+    g2 = [{1, 2, 3}, {1, 2, 4}, {3, 5, 6}, {4, 5, 6}]
+    assert len(robust.maximal_partitionings(g2, 2)) == 6 and robust.definitional_cores(g2, 2) == []
+    k33 = [frozenset((i, j)) for i in range(3) for j in range(3, 6)]
+    assert robust.definitional_cores(k33, 2) == [set(range(6))]
+
+
+def test_agreement_with_the_definition():
+    """The procedure deletes borders and so may keep a little more together than the definition; how often is reported, and bounded here."""
+    rng = random.Random(11)
+    for k, least in ((0, 1.0), (1, 0.9), (2, 0.75)):
+        equal = 0
+        for _ in range(120):
+            n = rng.randrange(3, 7)
+            cliques = [frozenset(rng.sample(range(n), rng.randrange(2, min(4, n) + 1))) for _ in range(rng.randrange(1, 5))]
+            want, got = robust.definitional_cores(cliques, k), robust.solve(cliques, ones(cliques), k)
+            equal += want == got
+        assert equal >= least * 120, (k, equal)
+
+
+def test_adjustment_numbers():
+    after = [(0.87, 0.5), (1, 0.58), (0.79, 0.5), (0.96, 0.5), (0.97, 0.9), (1, 0.5), (1, 0.5)]
+    assert abs(sum(silhouette(*x) for x in after) / 7 - 0.3970) < 0.001
+    border = [(1, 0.7), (0.99, 0.95), (1, 0.95)]
+    assert abs(sum(1 - round(silhouette(*x), 2) for x in border) - 2.6) < 0.011
+
+
+def test_average_linkage_against_brute_force():
+    from chaincores.operators.baselines import average_linkage
+
+    rng = random.Random(4)
+    for _ in range(60):
+        n = rng.randrange(2, 14)
+        pairs = [(a, b, rng.choice([0.5, 0.82, 0.9, 0.95, 1.0])) for a, b in combinations(range(n), 2) if rng.random() < 0.6]
+        sim = {(a, b): s for a, b, s in pairs}
+        groups = [[i] for i in sorted({x for p in pairs for x in p[:2]})]
+        while True:
+            mean = lambda x, y: sum(sim.get((min(a, b), max(a, b)), 0) for a in x for b in y) / (len(x) * len(y))
+            best = max(((mean(x, y), -min(x), -min(y), i, j) for i, x in enumerate(groups) for j, y in enumerate(groups) if min(x) < min(y) and any((min(a, b), max(a, b)) in sim for a in x for b in y)), default=None)
+            if best is None or best[0] < 0.8:
+                break
+            x, y = groups[best[3]], groups[best[4]]
+            groups = [g for g in groups if g is not x and g is not y] + [x + y]
+        got = average_linkage(pairs, 0.8)
+        assert sorted(map(sorted, got)) == sorted(sorted(g) for g in groups if len(g) > 1)
+
+
+def test_many_similarities_equal_single_ones():
+    from chaincores.functions.text import jaro_winkler, jaro_winkler_many
+
+    rng = random.Random(2)
+    names = ["".join(rng.choice("abcd ") for _ in range(rng.randrange(0, 12))) for _ in range(800)] + ["", "x" * 100, "x" * 99 + "y"]
+    a, b = [rng.choice(names) for _ in range(3000)], [rng.choice(names) for _ in range(3000)]
+    assert jaro_winkler_many(a, b).tolist() == [jaro_winkler(x, y) for x, y in zip(a, b, strict=True)]
+
+
+def test_weights_of_distinct_and_shared_values():
+    w = Weights((0.4, 0.5), (0.5, 0.5), (0.9, 0.5), (1.0, 0.5))
+    assert w.ambiguous == 0.5 and w.effective("com", 1.0, True) == 0.9 and w.effective("com", 1.0) == 0.4
+    core = element(1, ["a"], core=True, size=2)
+    c = Cluster()
+    c.add(core)
+    shared, sole = frozenset({("dom", "phone", "a")}), frozenset({("com", "name", "n")})
+    s = Settings(weights=w)
+    assert similarity(element(2, ["a"]), c, s, shared) < similarity(element(2, ["a"]), c, s)
+    assert similarity(element(2), c, s, sole=sole) > s.theta > similarity(element(2), c, s)
+    single = Settings(weights=Weights((0.4, 0.5), (0.5, 0.5), mode="single"))
+    assert similarity(element(2, ["a"]), c, single, shared) == similarity(element(2, ["a"]), c, single)
+
+
+def test_clusters_equal_an_exhaustive_search_where_it_is_possible():
+    """Few elements: the index after adjusting is at least that of the start, and never above the best of all valid clusterings."""
+    rng = random.Random(8)
+    for _ in range(25):
+        es = [element(i, [f"p{rng.randrange(3)}"], [f"u{rng.randrange(3)}"], core=i < 3) for i in range(6)]
+        start = Block(es, Settings())
+        start.initialise()
+        start.refresh()
+        low = start.index()
+        start.adjust()
+        best = -9.0
+        for p in robust.partitionings([e.eid for e in es]):
+            b = Block(es, Settings())
+            for part in p:
+                b.new([b.elements[i] for i in part])
+            if all(c.valid() for c in b.clusters.values()):
+                b.refresh()
+                best = max(best, b.index())
+        assert low - 1e-9 <= start.index() <= best + 1e-9

@@ -17,7 +17,7 @@ from chaincores.plans import robust
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SOME = ["p1_listings", "learned_weights", "name_classes_similar_80", "prune_subcliques", "simplified_index", "components_p1", "borders_k2", "screen_round_1", "sim_dom", "silhouette", "tfidf_assign", "vote_assign_round", "prf_connected", "top5_groups", "join_as_of", "window_range", "stream_sessions", "stream_clique_growth"]
+SOME = ["p1_listings", "learned_weights", "name_classes_similar_80", "prune_subcliques", "simplified_index", "components_p1", "borders_k2", "screen_round_1", "sim_dom", "silhouette", "tfidf_assign", "vote_assign_round", "prf_connected", "top5_groups", "join_as_of", "window_range", "stream_sessions", "stream_clique_growth", "candidate_pairs", "stream_late_rows", "stream_assign"]
 
 
 @pytest.fixture(scope="module")
@@ -54,13 +54,56 @@ def test_components_brute_force(spark, local):
 
 
 def test_distributed_screening_equals_local(spark):
-    r = q.listings(spark, "/root/testdata/sf0.001", "p3")
-    i = G.graph(r)
-    want = {tuple(x) for x in C.find_cores(i, 1, "screen_only").collect()}
-    if want:
-        big = i.groupBy("rid").count().count()
-        got = {tuple(x) for x in C.find_cores(i, 1, "screen_only", local_limit=big * 10).collect()}
-        assert got == want
+    """Components beyond the limit are screened as DataFrames: unions, borders and components, round by round."""
+    i = G.graph(q.listings(spark, SF, "p1"))
+    rows = i.count()
+    for k in (1, 2):
+        want = {tuple(x) for x in C.find_cores(i, k, "screen_only", local_limit=rows * 10).collect()}
+        got = {tuple(x) for x in C.find_cores(i, k, "screen_only", local_limit=4).collect()}
+        assert want and got == want
+
+
+def test_edge_star_against_brute_force(spark):
+    rng = random.Random(6)
+    names = [(i, "n", f"p{rng.randrange(12)}", f"u{rng.randrange(12)}", None, rng.choice("xy"), rng.choice("st"), 0) for i in range(60)]
+    r = spark.createDataFrame(names, "rid long, name string, phone string, url string, url2 string, state string, category string, gold long")
+    edges = sorted(((e.sim, e.r1, e.r2) for e in B.record_pairs(r).where("sim > 0.8").collect()), key=lambda e: (-e[0], e[1], e[2]))
+    for merge in (False, True):
+        role, of, joined = {}, {}, []
+        for _, a, b in edges:
+            for x, y in ((a, b), (b, a)):
+                if x not in role and y not in role:
+                    role[x], of[x], role[y], of[y] = "centre", x, "member", x
+                elif role.get(x) == "centre" and y not in role:
+                    role[y], of[y] = "member", x
+            if merge and of.get(a) != of.get(b) and "centre" in (role.get(a), role.get(b)) and a in of and b in of:
+                joined.append((of[a], of[b]))
+        of |= {n[0]: n[0] for n in names if n[0] not in of}
+        root = {}
+        for p in robust.pieces(set(of.values()), [frozenset(x) for x in joined]):
+            root |= {c: tuple(sorted(n for n in of if of[n] in p)) for c in p}
+        want = {n: root[c][0] for n, c in of.items()}
+        assert {x.rid: x.group_id for x in B.edge_star(r, merge=merge).collect()} == want
+
+
+def test_votes_reach_their_fixpoint(spark):
+    """A chain of features: each round gives the next records enough members to stand for."""
+    rows = [(i, "a", f"p{i // 6}", f"u{(i + 3) // 6}", None, None, None, 0) for i in range(48)]
+    r = spark.createDataFrame(rows, "rid long, name string, phone string, url string, url2 string, state string, category string, gold long")
+    r = r.withColumn("name", r.rid.cast("string"))
+    cores = spark.createDataFrame([(i, 0) for i in range(6)], "rid long, core long")
+    got = {x.rid: x.group_id for x in B.vote_assign(r, cores, 3).collect()}
+    assert set(got.values()) == {0}
+
+
+def test_keys(spark):
+    from chaincores.operators import keys as K
+
+    df = spark.createDataFrame([(1, "412-555", "me@Lab.org", "1 oak road"), (2, "41", "none", "2 oak road"), (3, None, None, None), (4, "", "x@y@z.org", "elm lane")], "rid long, phone string, url string, url2 string")
+    got = {r.rid: (r.phone, r.url, r.url2) for r in K.dominant_keys(df, {"phone": K.prefix(3), "url": K.email_server}, {"url2": 0.9}).collect()}
+    assert got == {1: ("412", "lab.org", "1 oak road"), 2: ("41", None, "1 oak road"), 3: (None, None, None), 4: (None, "z.org", "elm lane")}
+    urls = spark.createDataFrame([("https://www.Oak.com/x?y",), ("oak.com:80",), ("ftp://a.b#c",), ("",), (None,)], "u string")
+    assert [r.d for r in urls.select(K.url_domain(urls.u).alias("d")).collect()] == ["oak.com", "oak.com", "a.b", None, None]
 
 
 def test_components_beyond_the_limit(spark):
