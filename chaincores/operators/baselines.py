@@ -20,9 +20,9 @@ def _all(records: DataFrame, found: DataFrame) -> DataFrame:
     return records.select("rid").join(found, "rid", "left").select("rid", F.coalesce("comp", "rid").alias("group_id"))
 
 
-def same_name(records: DataFrame, threshold: float | None = None) -> DataFrame:
-    """Groups by name class only."""
-    n = records.join(name_classes(records, threshold), "name")
+def same_name(records: DataFrame, threshold: float | None = None, classes: DataFrame | None = None) -> DataFrame:
+    """Groups by name class only; ``classes`` are the :func:`name_classes` if they are known."""
+    n = records.join(name_classes(records, threshold) if classes is None else classes, "name")
     low = n.groupBy("class").agg(F.min("rid").alias("comp"))
     return _all(records, n.join(low, "class").select("rid", "comp"))
 
@@ -64,16 +64,17 @@ def weighted_pairs(records: DataFrame, threshold: float = 0.8, weights: dict | N
     return both.select("r1", "r2", sim.alias("sim")).where(F.col("sim") > threshold)
 
 
-def edge_partition(records: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """Transitive closure of pairs above the threshold."""
-    found = components(record_pairs(records).where(F.col("sim") > threshold), "r1", "r2")
+def edge_partition(records: DataFrame, threshold: float = 0.8, edges: DataFrame | None = None) -> DataFrame:
+    """Transitive closure of pairs above the threshold. Here and below, ``edges`` are the :func:`record_pairs` if they are known."""
+    edges = record_pairs(records) if edges is None else edges
+    found = components(edges.where(F.col("sim") > threshold), "r1", "r2")
     return _all(records, found.select(F.col("node").alias("rid"), "comp"))
 
 
-def edge_star(records: DataFrame, threshold: float = 0.8, merge: bool = False) -> DataFrame:
+def edge_star(records: DataFrame, threshold: float = 0.8, merge: bool = False, edges: DataFrame | None = None) -> DataFrame:
     """Edges by falling similarity; a free end becomes a centre and attracts the other. With ``merge``, a record that is similar
     to two centres joins their clusters."""
-    edges = materialise(record_pairs(records).where(F.col("sim") > threshold), "edges")
+    edges = (materialise(record_pairs(records), "edges") if edges is None else edges).where(F.col("sim") > threshold)
     comp = components(edges, "r1", "r2")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -139,9 +140,9 @@ def average_linkage(pairs, threshold: float) -> list[list]:
     return [m for m in members.values() if len(m) > 1]
 
 
-def agglomerative_cores(records: DataFrame, threshold: float = 0.9) -> DataFrame:
+def agglomerative_cores(records: DataFrame, threshold: float = 0.9, edges: DataFrame | None = None) -> DataFrame:
     """rid, core by average linkage over the record pairs of each component."""
-    edges = materialise(record_pairs(records), "edges")
+    edges = materialise(record_pairs(records), "edges") if edges is None else edges
     comp = components(edges, "r1", "r2")
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:

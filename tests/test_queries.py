@@ -178,6 +178,29 @@ def test_entry(spark):
     assert __spark_entry__.entry(spark).count() > 0
 
 
+def test_shared_folder_must_be_named_on_a_cluster():
+    from types import SimpleNamespace
+
+    from chaincores.session import shared_dir
+
+    def session(master, named=None):
+        return SimpleNamespace(conf=SimpleNamespace(get=lambda *_: named), sparkContext=SimpleNamespace(master=master, getConf=lambda: SimpleNamespace(get=lambda *_: None)))
+
+    assert shared_dir(session("local[8]")) and shared_dir(session("yarn", "hdfs://x/y/")) == "hdfs://x/y"
+    for master in ("yarn", "local-cluster[3,2,3000]", "spark://h:7077"):
+        with pytest.raises(RuntimeError):
+            shared_dir(session(master))
+
+
+def test_entry_without_text_operators():
+    import subprocess
+    import sys
+
+    code = "import sys; import importlib.abc\nclass No(importlib.abc.MetaPathFinder):\n    def find_spec(self, name, *_):\n        if name in ('chaincores.llm', 'corpus_pipeline'): raise ModuleNotFoundError(name=name)\nsys.meta_path.insert(0, No())\nimport __spark_entry__ as e; print(len(e.queries()), any(n.startswith('op') for n in e.queries()))"
+    out = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, cwd=os.path.dirname(__spark_entry__.__file__))
+    assert out.returncode == 0 and out.stdout.split()[1] == "False", out.stderr
+
+
 def test_guard():
     assert os.path.exists("/root/testdata")
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
