@@ -174,6 +174,15 @@ def test_pairwise_measure(spark):
     assert (r.tp, r.fp, r.fn, r.precision, r.recall, r.f) == (1, 2, 1, 0.333333, 0.5, 0.4)
 
 
+def test_two_stage_is_first(spark):
+    """On the random chains the method is before all baselines, in F and in recall before the one-stage methods."""
+    got = {r.variant: r for r in q.QUERIES["overall_p1"](spark, SF).collect()}
+    best = got.pop("two_stage")
+    assert set(got) >= {"same_name", "connected_graph", "edge_partition", "edge_center", "edge_merge", "tfidf_two_stage"}
+    assert all(best.f > r.f for r in got.values())
+    assert all(best.recall > got[n].recall for n in q.ONE_STAGE)
+
+
 def test_entry(spark):
     assert __spark_entry__.entry(spark).count() > 0
 
