@@ -110,3 +110,18 @@ def test_decontaminate_against_brute_force(spark, monkeypatch):
     kept = decontaminate.drop_contaminated(d, b, min_words=1)
     assert kept.columns == d.columns and kept.count() == sum(not h for _, _, h, _ in want)
     assert decontaminate.report(d, b.limit(0)).agg(F.sum("n_hit")).first()[0] == 0
+
+
+def test_op8_equals_its_sql_on_hosts_without_labels(spark, tmp_path):
+    import duckdb
+
+    from chaincores.llm import queries
+
+    urls_ = [f"http://h{i % 4}.{'bad' if i % 2 else 'good'}.com/" for i in range(400)] + ["http://new.bad.com/", "http://new.good.com/x", "http://a.b.info/", None, "nothing"]
+    spark.createDataFrame(list(enumerate(urls_)), "page_id long, url string").write.parquet(f"{tmp_path}/pages.parquet")
+    spark.createDataFrame([(i, 1 - i % 2, 0) for i in range(400)] + [(7, None, 0), (None, 0, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    c = duckdb.connect()
+    for t in ("pages", "labels"):
+        c.execute(f"create view {t} as select * from '{tmp_path}/{t}.parquet/*.parquet'")
+    want = c.execute(queries.ORACLES["op8_url_reputation"]).fetchall()
+    assert sorted(map(str, map(tuple, queries.op8_url_reputation(spark, str(tmp_path)).collect()))) == sorted(map(str, want))
