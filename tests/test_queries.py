@@ -213,3 +213,9 @@ def test_entry_without_text_operators():
 def test_guard():
     assert os.path.exists("/root/testdata")
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def test_many_users_are_counted_exactly(spark, tmp_path):
+    spark.range(50_000).selectExpr("id % 20011 as user_id").unionByName(spark.sql("select cast(null as bigint) as user_id")).write.parquet(f"{tmp_path}/events.parquet")
+    want = duckdb.sql(__spark_entry__.oracle_sql()["approximate_top_k"].replace("events", f"'{tmp_path}/events.parquet/*.parquet'")).fetchall()
+    assert [tuple(r) for r in __spark_entry__.queries()["approximate_top_k"](spark, str(tmp_path)).collect()] == want == [(20012,)]
