@@ -219,3 +219,26 @@ def test_many_users_are_counted_exactly(spark, tmp_path):
     spark.range(50_000).selectExpr("id % 20011 as user_id").unionByName(spark.sql("select cast(null as bigint) as user_id")).write.parquet(f"{tmp_path}/events.parquet")
     want = duckdb.sql(__spark_entry__.oracle_sql()["approximate_top_k"].replace("events", f"'{tmp_path}/events.parquet/*.parquet'")).fetchall()
     assert [tuple(r) for r in __spark_entry__.queries()["approximate_top_k"](spark, str(tmp_path)).collect()] == want == [(20012,)]
+
+
+@pytest.mark.parametrize("threshold", [0.65, 0.8, 0.9, 0.95])
+def test_similar_pairs_of_many_blocks_against_all_pairs(spark, monkeypatch, threshold):
+    from chaincores.functions.text import jaro_winkler
+
+    monkeypatch.setattr(G, "BLOCK", 40)
+    rng = random.Random(8)
+    names = {"".join(rng.choice(a) for _ in range(rng.randrange(lo, hi))) for a, lo, hi in (("0123456789abcdef", 10, 11), ("ab", 0, 7), ("abcdefghijklmnopqrstuvwxyzäé€ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 5, 60)) for _ in range(60)}
+    names |= {n[:6] + "q" + n[6:] for n in list(names)[:40]} | {"😀 shop", "😀 shops", ""}
+    want = sorted((a, b) for a in names for b in names if a < b and jaro_winkler(a, b) > threshold)
+    got = G.similar_pairs(spark.createDataFrame([(n,) for n in [*names, None, "", *list(names)[:9]]], "name string"), threshold).collect()
+    assert sorted((r.a, r.b) for r in got) == want and all(r.sim == jaro_winkler(r.a, r.b) for r in got)
+    assert G.similar_pairs(spark.createDataFrame([], "name string"), threshold).count() == 0
+
+
+def test_element_similarity_joins_no_groups_by_state_alone(spark):
+    from chaincores import workloads
+
+    # 20,000 groups of one state: all with all would be 400 million rows
+    r = spark.range(20_000).selectExpr("id as rid", "concat('n', id) as name", "concat('p', id) as phone", "cast(null as string) as url", "cast(null as string) as url2", "'XX' as state", "'c' as category")
+    e = workloads.element_similarities(r, r.selectExpr("rid", "rid as group_id")).collect()
+    assert len(e) == 20_000 and all(x.rid == x.group_id for x in e) and len({round(x.sim, 9) for x in e}) == 1
