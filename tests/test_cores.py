@@ -207,3 +207,21 @@ def test_clusters_equal_an_exhaustive_search_where_it_is_possible():
                 b.refresh()
                 best = max(best, b.index())
         assert low - 1e-9 <= start.index() <= best + 1e-9
+
+
+def test_queued_candidates_are_those_listed_anew():
+    import random
+
+    from chaincores.plans.cluster import Block, Element, Settings
+
+    rng = random.Random(4)
+    chain = [rng.randrange(5) for _ in range(90)]
+    found = [Element(i, rng.random() < 0.3, 1, {("com", "name", c % 4): 1, ("dom", "url", c if rng.random() > 0.2 else rng.randrange(5)): 1, ("dom", "phone", rng.choice((c, 100 + i))): 1}) for i, c in enumerate(chain)]
+    b = Block(found, Settings())
+    b.initialise()
+    b.adjust()
+    pairs: dict = {}
+    for eid, (x, at, _, _) in b.score.items():
+        if at is not None and x <= b.s.border:
+            pairs.setdefault(tuple(sorted((b.of[eid], at))), set()).add(eid)
+    assert b.pairs == pairs and b.filed == {e: k for k, m in pairs.items() for e in m}
