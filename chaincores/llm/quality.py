@@ -8,6 +8,7 @@ shape, its last characters), so that the score is a mean of values per distinct
 from __future__ import annotations
 
 import re
+import tempfile
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -17,13 +18,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import spread, sums, word_codes
+from ..session import materialise, release
+from .common import sums, word_codes
 
 #: Labelled rows that a model is fitted on at most; they are drawn by a hash of the id.
 SAMPLE, WIDTH, STEPS, RATE, DECAY = 5_000, 1 << 17, 100, 0.3, 1e-6
 SCALE = 20.0
-#: Characters of a text that a model learns from at most, in evenly spaced pieces; all of every text is scored.
-LEARN = 16_384
+#: Pairs of a feature and its mean count that the driver holds at a time; the rest waits in a scratch file of its own.
+PIECE = 1 << 21
 _RUNS = ((re.compile(r"[a-z]+"), "a"), (re.compile(r"[A-Z]+"), "A"), (re.compile(r"[0-9]+"), "0"), (re.compile(r"[^\x00-\x7f]+"), "x"))
 
 
@@ -58,16 +60,26 @@ def fit_rows(y: np.ndarray, rows: list[tuple[np.ndarray, np.ndarray]], steps: in
 
 
 def fit_flat(y: np.ndarray, ids: np.ndarray, vals: np.ndarray, lens: np.ndarray, steps: int = STEPS, rate: float = RATE, decay: float = DECAY) -> OrdinalModel:
-    """Maximum likelihood by full-batch Adam over rows of so many (feature, mean count) pairs. Thresholds are kept in order."""
+    """Maximum likelihood by full-batch Adam over rows of so many (feature, mean count) pairs. Thresholds are kept in order.
+
+    Rows are gone through in pieces of about ``PIECE`` pairs, so ids and vals may lie in a file."""
     grades = np.unique(y).astype(float)
     if len(grades) < 2:
         return OrdinalModel(grades if len(grades) else np.array([1.0]), np.zeros(WIDTH), np.zeros(max(0, len(grades) - 1)))
-    level, vals, owner = np.searchsorted(grades, y), vals * SCALE, np.repeat(np.arange(len(lens)), lens)
+    level, ends = np.searchsorted(grades, y), np.cumsum(lens)
+    rows = np.unique([0, *(np.flatnonzero(np.diff(ends // PIECE)) + 1), len(lens)]).tolist()
+
+    def piece(lo: int, hi: int) -> tuple:
+        at = slice(int(ends[lo] - lens[lo]), int(ends[hi - 1]))
+        return lo, hi, np.asarray(ids[at]), np.asarray(vals[at]) * SCALE, np.repeat(np.arange(hi - lo), lens[lo:hi])
+
+    held = [piece(lo, hi) for lo, hi in zip(rows, rows[1:])] if len(rows) == 2 else None
+    pieces = lambda: held or (piece(lo, hi) for lo, hi in zip(rows, rows[1:]))
     at_least = np.clip(np.array([(level > k).mean() for k in range(len(grades) - 1)]), 1e-3, 1 - 1e-3)
     w, t = np.zeros(WIDTH), -np.log(at_least / (1 - at_least))
     state = [np.zeros_like(w), np.zeros_like(w), np.zeros_like(t), np.zeros_like(t)]
     for step in range(1, steps + 1):
-        s = np.bincount(owner, vals * w[ids], len(lens))
+        s = np.concatenate([np.bincount(owner, v * w[i], hi - lo) for lo, hi, i, v, owner in pieces()])
         up = 1 / (1 + np.exp(-np.clip(s[:, None] - t[None, :], -40, 40)))
         p = np.concatenate([np.ones((len(s), 1)), up, np.zeros((len(s), 1))], 1)
         d = p * (1 - p)
@@ -77,7 +89,8 @@ def fit_flat(y: np.ndarray, ids: np.ndarray, vals: np.ndarray, lens: np.ndarray,
         g_t = np.zeros((len(s), len(grades) + 1))
         g_t[every, level] += d[every, level] / own / len(s)
         g_t[every, level + 1] -= d[every, level + 1] / own / len(s)
-        grads = np.bincount(ids, vals * g_s[owner], WIDTH) + decay * w, g_t[:, 1:-1].sum(0)
+        g_w = sum(np.bincount(i, v * g_s[lo:hi][owner], WIDTH) for lo, hi, i, v, owner in pieces())
+        grads = g_w + decay * w, g_t[:, 1:-1].sum(0)
         for k, (param, g) in enumerate(zip((w, t), grads, strict=True)):
             m, v = state[2 * k], state[2 * k + 1]
             m += 0.1 * (g - m)
@@ -96,25 +109,35 @@ def sample_labels(labels: DataFrame, column: str, most: int) -> DataFrame:
 
 
 def fit(docs: DataFrame, labels: DataFrame, grade: str = "quality", most: int = SAMPLE) -> OrdinalModel:
-    """Fit on a bounded sample of the rated documents; the driver receives hashed counts, not texts."""
+    """Fit on whole texts of a bounded sample of the rated documents; the driver receives hashed counts, not texts, and a part at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             codes, words, counts = word_codes(b.column(1), lower=False)
-            table = np.array([word_features(x) for x in words.to_pylist()], np.int64).reshape(-1, 3)
+            table = np.array([word_features(x) for x in words.to_pylist()], np.int32).reshape(-1, 3)
             out_i, out_v = [], []
             for s, e in zip(np.cumsum(counts) - counts, np.cumsum(counts), strict=True):
                 ids, n = np.unique(table[codes[s:e]], return_counts=True)
-                out_i.append(ids.tolist())
-                out_v.append((n / max(1, e - s)).tolist())
-            yield pa.record_batch([b.column(0), b.column(2), pa.array(out_i, pa.list_(pa.int32())), pa.array(out_v, pa.list_(pa.float32()))], names=["doc_id", "y", "ids", "vals"])
+                out_i.append(ids.tobytes())
+                out_v.append((n / max(1, e - s)).astype(np.float32).tobytes())
+            yield pa.record_batch([b.column(0), b.column(2), pa.array(out_i, pa.binary()), pa.array(out_v, pa.binary())], names=["doc_id", "y", "ids", "vals"])
 
     chosen = sample_labels(labels, grade, most)
-    rated = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", spread(F.col("text"), LEARN).alias("text"), F.col(grade).cast("double").alias("y"))
-    got = rated.mapInArrow(run, "doc_id long, y double, ids array<int>, vals array<float>").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")])
-    ids, vals = (got[c].combine_chunks() for c in ("ids", "vals"))
-    lens = ids.value_lengths().to_numpy(zero_copy_only=False)
-    return fit_flat(np.asarray(got["y"]), ids.flatten().to_numpy(zero_copy_only=False), vals.flatten().to_numpy(zero_copy_only=False), lens)
+    rated = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", F.col(grade).cast("double").alias("y"))
+    counted = materialise(rated.mapInArrow(run, "doc_id long, y double, ids binary, vals binary"), "features")
+    y, lens = [], []
+    with tempfile.TemporaryFile() as f_i, tempfile.TemporaryFile() as f_v:
+        for r in counted.orderBy("doc_id", "y", "ids", "vals").toLocalIterator():
+            y.append(r.y)
+            lens.append(len(r.ids) // 4)
+            f_i.write(r.ids)
+            f_v.write(r.vals)
+        release(counted)
+        if not sum(lens):
+            return fit_flat(np.array(y), np.zeros(0, np.int32), np.zeros(0, np.float32), np.array(lens, np.int64))
+        f_i.flush()
+        f_v.flush()
+        return fit_flat(np.array(y), np.memmap(f_i, np.int32, "r"), np.memmap(f_v, np.float32, "r"), np.array(lens, np.int64))
 
 
 def score(docs: DataFrame, model: OrdinalModel) -> DataFrame:

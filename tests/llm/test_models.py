@@ -96,3 +96,20 @@ def test_word_codes():
     codes, words, counts = word_codes(pa.array([" A  b\tA\n", None, "", "É a"]))
     assert counts.tolist() == [3, 0, 0, 2]
     assert [words[int(c)].as_py() for c in codes] == ["a", "b", "a", "É", "a"]
+
+
+def test_quality_learns_from_every_part_of_long_texts(spark, monkeypatch):
+    from chaincores.llm import quality
+
+    # the word that tells lies in the 25th of forty parts only, between what evenly spaced pieces would show
+    parts = [" ".join(f"w{i % 7}" for i in range(700)) for _ in range(40)]
+    long_ = lambda i: " ".join([*parts[:25], f"{'good' if i % 2 else 'poor'} " * 30, *parts[25:]])
+    docs = spark.createDataFrame([(i, long_(i)) for i in range(60)] + [(60, None), (61, "")], "doc_id long, text string").repartition(3)
+    labels = spark.createDataFrame([(i, i % 2) for i in range(62)], "doc_id long, quality int")
+    whole = quality.fit(docs, labels)
+    w = {x: whole.weights[quality.word_features(x)[0]] for x in ("good", "poor")}
+    assert w["good"] > 0 > w["poor"]
+    monkeypatch.setattr(quality, "PIECE", 40)
+    pieces = quality.fit(docs, labels)
+    assert np.allclose(whole.weights, pieces.weights, atol=1e-6) and np.allclose(whole.thresholds, pieces.thresholds, atol=1e-6)
+    assert quality.fit(docs, labels.limit(0)).weights.any() == False  # noqa: E712
