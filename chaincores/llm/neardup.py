@@ -1,7 +1,7 @@
 """Near duplicates of texts by SimHash on word shingles, verified exactly.
 
-At a Jaccard similarity of 0.8 a whole-text 64-bit SimHash differs in ten bits on average, far more than a grid can
-reach. So a text has several fingerprints, each a SimHash (majority of bits) of a small sample of its shingles:
+Texts whose whole 64-bit SimHashes are within three bits meet by the popcount grid. At a Jaccard similarity of 0.8 such a
+SimHash differs in ten bits on average, far more than a grid can reach. So a text has several more fingerprints, each a SimHash (majority of bits) of a small sample of its shingles:
 those with the least hashes under the table's permutation. Texts with an equal fingerprint are candidates; a pair
 of similarity s meets in a table with probability s**3, so sixteen tables miss one pair in 90,000 at 0.8. Texts of few
 shingles meet without any loss instead: two sets of that similarity share one of the least hashes of each, of which there are
@@ -26,6 +26,7 @@ from pyspark.sql import window as W
 from ..operators.components import components
 from ..session import materialise, release
 from .common import utf8
+from .simhash import links as grid_links
 from .simhash import shingle_hashes
 
 SHINGLE, SIMILAR, TABLES, SAMPLE = 5, 0.8, 16, 3
@@ -97,8 +98,14 @@ def node() -> Column:
     return F.unhex(F.md5(F.coalesce("text", F.lit(""))))
 
 
+def whole_fingerprint(h: np.ndarray) -> int:
+    """SimHash of a whole shingle set; zero for none."""
+    bits = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+    return int(np.packbits(bits.sum(0, dtype=np.int64) * 2 > len(h), bitorder="little").view(np.int64)[0]) if len(h) else 0
+
+
 def buckets(docs: DataFrame, k: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
-    """bucket, node, s1, s2: distinct."""
+    """bucket, node, s1, s2, fp: distinct. The row of a node with a null bucket holds its whole fingerprint, the others its keys."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -106,11 +113,19 @@ def buckets(docs: DataFrame, k: int = SHINGLE, similar: float = SIMILAR) -> Data
                 sets = [shingle_set(t, k) for t in utf8(b.column(1).slice(i, 1000))]
                 own = [keys(h, similar=similar) for h in sets]
                 n = [len(x) for x in own]
-                s = np.array([sketch(h) for h in sets]).repeat(n, axis=0)
-                at = b.column(0).slice(i, 1000).take(pa.array(np.arange(len(n)).repeat(n)))
-                yield pa.record_batch([pa.array(np.concatenate(own).view(np.int64)), at, pa.array(s[:, 0]), pa.array(s[:, 1])], names=["bucket", "node", "s1", "s2"])
+                s, nodes, m = np.array([sketch(h) for h in sets]), b.column(0).slice(i, 1000), len(sets)
+                at = np.concatenate([np.arange(m).repeat(n), np.arange(m)])
+                key = pa.concat_arrays([pa.array(np.concatenate(own).view(np.int64)), pa.nulls(m, pa.int64())])
+                fp = pa.concat_arrays([pa.nulls(sum(n), pa.int64()), pa.array([whole_fingerprint(h) for h in sets], pa.int64())])
+                yield pa.record_batch([key, nodes.take(pa.array(at)), pa.array(s[at, 0]), pa.array(s[at, 1]), fp], names=["bucket", "node", "s1", "s2", "fp"])
+
+    return docs.select(node().alias("node"), "text").mapInArrow(run, "bucket long, node binary, s1 long, s2 long, fp long").distinct()
+
 
-    return docs.select(node().alias("node"), "text").mapInArrow(run, "bucket long, node binary, s1 long, s2 long").distinct()
+def grid_buckets(fps: DataFrame) -> DataFrame:
+    """``fps(fp, node, s1, s2)`` -> bucket, node, s1, s2: texts whose whole fingerprints the popcount grid links, or equal ones, share a bucket."""
+    comp = materialise(components(grid_links(fps.select("fp").distinct()), local=0), "grid").withColumnsRenamed({"node": "fp", "comp": "c"})
+    return fps.join(comp, "fp", "left").select(F.xxhash64(F.coalesce("c", "fp"), F.lit("grid")).alias("bucket"), "node", "s1", "s2")
 
 
 def _sets(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
@@ -222,7 +237,9 @@ def _link_open(rest: DataFrame, sets: DataFrame, similar: float) -> DataFrame:
 
 def groups(docs: DataFrame, k: int = SHINGLE, similar: float = SIMILAR) -> DataFrame:
     """``docs(doc_id, text)`` -> node, comp for the nodes linked to others (comp is the least node)."""
-    b = materialise(buckets(docs, k, similar), "buckets")
+    dealt = materialise(buckets(docs, k, similar), "buckets")
+    grid = grid_buckets(dealt.where("bucket is null"))
+    b = dealt.where("bucket is not null").select("bucket", "node", "s1", "s2").unionByName(grid)
     least = b.groupBy("bucket").agg(F.min(F.struct("node", "s1", "s2")).alias("l"), F.count("*").alias("n")).where("n > 1").select("bucket", F.col("l.node").alias("a"), F.col("l.s1").alias("t1"), F.col("l.s2").alias("t2"))
     star = materialise(b.join(least, "bucket").where("node <> a").where(close()).select("a", F.col("node").alias("b")).distinct(), "star")
     ids = star.select(F.col("a").alias("id")).unionByName(star.select(F.col("b").alias("id")))
@@ -232,7 +249,7 @@ def groups(docs: DataFrame, k: int = SHINGLE, similar: float = SIMILAR) -> DataF
     release(sets)
     comp = materialise(components(links, local=0), "comp")
     rest = materialise(_apart(b.select("bucket", "node").join(comp, "node", "left").select("bucket", "node", F.coalesce("comp", "node").alias("comp"))), "open")
-    release(b)
+    release(dealt)
     if rest.isEmpty():
         return comp
     sets = materialise(_sets(docs, rest.select(F.col("node").alias("id")), k), "sets")

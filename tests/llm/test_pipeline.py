@@ -149,3 +149,25 @@ def test_stages_on_empty_and_odd_tables(spark, tmp_path):
     for _, stage in corpus_pipeline.STAGES:
         out = stage(spark, odd, sf)
         assert out.columns == odd.columns and out.count() >= 0
+
+
+def test_whole_fingerprints_meet_by_the_popcount_grid(spark):
+    import hashlib
+    import random
+
+    from chaincores.llm import neardup
+
+    rng = random.Random(12)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(900)]
+    texts, far = {}, " ".join(f"v{rng.randrange(10**6)}" for _ in range(900))
+    fp = lambda t: neardup.whole_fingerprint(neardup.shingle_set(t.encode())) & (2**64 - 1)
+    for i in range(60):
+        t = " ".join(["new" if j == i * 15 else w for j, w in enumerate(base)])
+        texts.setdefault((fp(" ".join(base)) ^ fp(t)).bit_count(), t)
+    near = {d: t for d, t in texts.items() if d <= 3}
+    assert max(near) >= 1
+    docs = spark.createDataFrame([(0, " ".join(base)), (1, far), (2, None), *((3 + d, t) for d, t in near.items())], "doc_id long, text string")
+    got = {bytes(r.node): r.bucket for r in neardup.grid_buckets(neardup.buckets(docs).where("bucket is null")).collect()}
+    node = lambda t: hashlib.md5((t or "").encode()).digest()
+    assert {got[node(t)] for t in near.values()} == {got[node(" ".join(base))]} and len({got[node(t)] for t in (" ".join(base), far, None)}) == 3
+    assert {r.doc_id for r in neardup.keep_one(docs).collect()} == {0, 1, 2}
