@@ -201,6 +201,15 @@ def test_shared_folder_must_be_named_on_a_cluster():
             shared_dir(session(master))
 
 
+def test_many_partitions_make_few_files(spark):
+    from chaincores.session import FILES, materialise, release
+
+    most = FILES * spark.sparkContext.defaultParallelism
+    out = materialise(spark.range(5000).repartition(5 * most), "many")
+    assert len(out.inputFiles()) <= most and sorted(r.id for r in out.collect()) == list(range(5000))
+    release(out)
+
+
 def test_entry_without_text_operators():
     import subprocess
     import sys
