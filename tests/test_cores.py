@@ -225,3 +225,18 @@ def test_queued_candidates_are_those_listed_anew():
         if at is not None and x <= b.s.border:
             pairs.setdefault(tuple(sorted((b.of[eid], at))), set()).add(eid)
     assert b.pairs == pairs and b.filed == {e: k for k, m in pairs.items() for e in m}
+
+
+def test_scores_take_few_similarities(monkeypatch):
+    """An element is compared anew with the clusters that changed, not with all that share a value with it."""
+    rng = random.Random(6)
+    found = [Element(i, True, 1, {("com", "name", 0): 1, ("dom", "url", rng.randrange(4)): 1, ("dom", "phone", rng.randrange(40)): 1}) for i in range(120)]
+    count = {"like": 0, "rate": 0}
+    for name in count:
+        monkeypatch.setattr(Block, name, lambda self, *a, f=getattr(Block, name), n=name: (count.__setitem__(n, count[n] + 1), f(self, *a))[1])
+    b = Block(found, Settings())
+    b.initialise()
+    b.adjust()
+    assert count["rate"] > 1000 and count["like"] < 8 * count["rate"]
+    fresh = {eid: b.rate(b.elements[eid]) for eid in b.elements}
+    assert fresh == b.score
