@@ -1,5 +1,6 @@
 """Queries against their SQL on the smallest tables, and brute force where SQL has none."""
 
+import math
 import os
 import random
 
@@ -251,3 +252,25 @@ def test_element_similarity_joins_no_groups_by_state_alone(spark):
     r = spark.range(20_000).selectExpr("id as rid", "concat('n', id) as name", "concat('p', id) as phone", "cast(null as string) as url", "cast(null as string) as url2", "'XX' as state", "'c' as category")
     e = workloads.element_similarities(r, r.selectExpr("rid", "rid as group_id")).collect()
     assert len(e) == 20_000 and all(x.rid == x.group_id for x in e) and len({round(x.sim, 9) for x in e}) == 1
+
+
+def test_tfidf_lists_no_pairs_by_state_alone(spark, monkeypatch):
+    """Satellites of one state are not joined with each core of it; the cores found are those of all pairs."""
+    rng = random.Random(3)
+    rows = [(i, f"n{i % 60 if i < 180 else rng.randrange(90)}", None, None, None, f"s{rng.randrange(2)}", f"c{rng.randrange(2)}") for i in range(600)]
+    r = spark.createDataFrame(rows, "rid long, name string, phone string, url string, url2 string, state string, category string")
+    cores = spark.createDataFrame([(i, i % 60) for i in range(180)], "rid long, core long")
+    tables = {}
+    monkeypatch.setattr(B, "materialise", lambda df, name, f=B.materialise: tables.setdefault(name, f(df, name)))
+    got = {x.rid: x.group_id for x in B.tfidf_assign(r, cores).collect()}
+    f = {}
+    for rid, name, _, _, _, state, category in rows:
+        f[rid] = {f"name={name}", f"state={state}", f"category={category}"}
+    count = {x: sum(x in y for y in f.values()) for y in f.values() for x in y}
+    idf = {x: math.log(600 / n) for x, n in count.items()}
+    members = {c: [i for i in range(180) if i % 60 == c] for c in range(60)}
+    for rid in range(180, 600):
+        score = {c: round(sum(sum(x in f[i] for i in m) / len(m) * idf[x] ** 2 for x in f[rid]), 9) for c, m in members.items()}
+        assert got[rid] == min(score, key=lambda c: (-score[c], c))
+    assert all(got[i] == i % 60 for i in range(180))
+    assert tables["near"].count() < 1000  # 420 satellites and 60 cores of two states and categories
