@@ -274,3 +274,18 @@ def test_tfidf_lists_no_pairs_by_state_alone(spark, monkeypatch):
         assert got[rid] == min(score, key=lambda c: (-score[c], c))
     assert all(got[i] == i % 60 for i in range(180))
     assert tables["near"].count() < 1000  # 420 satellites and 60 cores of two states and categories
+
+
+def test_listings_and_names_are_found_once(spark, monkeypatch):
+    """A query of the method writes its listings once, and presets of weights share one first stage."""
+    calls = []
+    for where, name in ((q, "listings"), (L, "close_names")):
+        monkeypatch.setattr(where, name, lambda *a, f=getattr(where, name), name=name, **k: (calls.append(name), f(*a, **k))[1])
+    q.QUERIES["initialise_exhaustive"](spark, SF)
+    assert sorted(calls) == ["close_names", "listings"]
+    calls.clear()
+    want = q.compare(spark, [("fixed", L.two_stage(r := q.listings(spark, SF)), r)]).collect()
+    calls.clear()
+    got = q.QUERIES["ablation_presets"](spark, SF).collect()
+    assert sorted(calls) == ["close_names", "listings"]
+    assert [x for x in got if x.variant == "fixed"] == want and len(got) == 4
