@@ -240,3 +240,23 @@ def test_scores_take_few_similarities(monkeypatch):
     assert count["rate"] > 1000 and count["like"] < 8 * count["rate"]
     fresh = {eid: b.rate(b.elements[eid]) for eid in b.elements}
     assert fresh == b.score
+
+
+def test_witness_pairs_are_cut_once(monkeypatch):
+    """Many pairs of edges have one witness pair, and flows are not asked for what common neighbours settle."""
+    from chaincores.plans import robust
+
+    asked = []
+    monkeypatch.setattr(robust, "min_cut", lambda cliques, weight, a, b, cap, f=robust.min_cut: (asked.append(frozenset((a, b))), f(cliques, weight, a, b, cap))[1])
+    octahedron = [frozenset(p) for p in combinations(range(8), 2) if p[0] // 2 != p[1] // 2]
+    assert robust.solve(octahedron, dict.fromkeys(range(8), 1), 2, "naive") == [set(range(8))]
+    assert len(asked) == len(set(asked))
+    rng = random.Random(9)
+    for _ in range(200):
+        cliques = [frozenset(rng.sample(range(9), rng.randrange(2, 5))) for _ in range(6)]
+        nodes = sorted(set().union(*cliques))
+        a, b = rng.sample(nodes, 2)
+        least = next((n for n in range(len(nodes) - 1) for gone in combinations([x for x in nodes if x not in (a, b)], n) if not any({a, b} <= p for p in robust.pieces(set(nodes) - set(gone), [c - set(gone) for c in cliques]))), None)
+        for cap in range(4):
+            cut = robust.min_cut(cliques, dict.fromkeys(nodes, 1), a, b, cap)
+            assert (cut is None) == (least is None or least > cap) and (cut is None or len(cut) == least)

@@ -6,6 +6,7 @@ import random
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__
 from chaincores import queries as q
@@ -289,3 +290,21 @@ def test_listings_and_names_are_found_once(spark, monkeypatch):
     got = q.QUERIES["ablation_presets"](spark, SF).collect()
     assert sorted(calls) == ["close_names", "listings"]
     assert [x for x in got if x.variant == "fixed"] == want and len(got) == 4
+
+
+def test_ladder_has_the_cores_of_each_share(spark, monkeypatch):
+    """One pass over all shares finds what a pass for each finds, also where a name's components are found beforehand."""
+    from chaincores import workloads as w
+
+    r = q.listings(spark, SF, "n2").withColumn("fifth", F.pmod(F.xxhash64("rid"), F.lit(5)))
+    want = {}
+    for n in (1, 5):
+        comps = G.record_components(G.graph(r.where(F.col("fifth") < n)))
+        want[20 * n] = (comps.select("comp").distinct().count(), comps.count())
+    passes = []
+    monkeypatch.setattr(G, "graph", lambda *a, f=G.graph: (passes.append(1), f(*a))[1])
+    rows = w.QUERIES["ladder_times"](spark, SF).collect()
+    assert {x.percent: (x.solved, x.nodes) for x in rows if x.strategy == "full" and x.percent in want} == want and not passes
+    monkeypatch.setattr(C, "LOCAL_LIMIT", 0)
+    plainly = lambda found: sorted((x.strategy, x.percent, x.solved, x.nodes, x.same) for x in found)
+    assert plainly(w.QUERIES["ladder_times"](spark, SF).collect()) == plainly(rows)
