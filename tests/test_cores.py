@@ -260,3 +260,45 @@ def test_witness_pairs_are_cut_once(monkeypatch):
         for cap in range(4):
             cut = robust.min_cut(cliques, dict.fromkeys(nodes, 1), a, b, cap)
             assert (cut is None) == (least is None or least > cap) and (cut is None or len(cut) == least)
+
+
+def test_classes_of_equal_records_stand_for_all_their_pairs():
+    """Star clustering and average linkage over classes against all pairs of their records, one at a time."""
+    import numpy as np
+
+    from chaincores.operators.baselines import average_linkage, star
+
+    def one_by_one(edges, merge):
+        centre, joined = {}, []
+        for _, a, b in sorted(edges, key=lambda e: (-e[0], e[1], e[2])):
+            if a not in centre and b not in centre:
+                centre[a] = centre[b] = a
+            elif a not in centre or b not in centre:
+                old, new = (a, b) if a in centre else (b, a)
+                if centre[old] == old:
+                    centre[new] = old
+            elif merge and (centre[a] == a or centre[b] == b):
+                joined.append(frozenset((centre[a], centre[b])))
+        at = {c: i for i, part in enumerate(robust.pieces(set(centre.values()), joined)) for c in part}
+        return {x: min(y for y in centre if at[centre[y]] == at[c]) for x, c in centre.items()}
+
+    rng = random.Random(3)
+    for _ in range(1500):
+        n, k, dense = rng.randrange(2, 16), rng.randrange(1, 7), rng.random()
+        of = [rng.randrange(k) for _ in range(n)]
+        near = {p: rng.choice([1.0, 1.0, 0.984, 0.92, 0.9, 0.82]) for p in combinations(range(k), 2) if rng.random() < dense}
+        sim = lambda x, y: 1.0 if x == y else near.get((min(x, y), max(x, y)))
+        edges = [(s, i, j) for i, j in combinations(range(n), 2) if (s := sim(of[i], of[j]))]
+        held = {c: [i for i in range(n) if of[i] == c] for c in set(of)}
+        few = [(held[x][0], held[y][0], s) for x in held for y in held if held[x][0] < held[y][0] and (s := sim(x, y))]
+        several = {m[0]: m for m in held.values() if len(m) > 1}
+        rows = few + [(m, m, 1.0) for m in several]
+        for merge in (False, True):
+            want, got = one_by_one(edges, merge), {}
+            if rows:
+                got = star(*(np.array(c) for c in zip(*rows)), {m: v[1] for m, v in several.items()}, {m: v[-1] for m, v in several.items()}, merge)
+            assert [got.get(held[c][0], held[c][0]) for c in of] == [want.get(i, i) for i in range(n)]
+        want = sorted(sorted(m) for m in average_linkage([(a, b, s) for s, a, b in edges], 0.9))
+        found = average_linkage(few, 0.9, {m: len(v) for m, v in several.items()})
+        alone = [v for m, v in several.items() if all(m not in e[:2] for e in few)]
+        assert sorted([sorted(i for x in m for i in held[of[x]]) for m in found] + alone) == want

@@ -308,3 +308,16 @@ def test_ladder_has_the_cores_of_each_share(spark, monkeypatch):
     monkeypatch.setattr(C, "LOCAL_LIMIT", 0)
     plainly = lambda found: sorted((x.strategy, x.percent, x.solved, x.nodes, x.same) for x in found)
     assert plainly(w.QUERIES["ladder_times"](spark, SF).collect()) == plainly(rows)
+
+
+def test_equal_records_make_no_pairs(spark):
+    """3,000 records of one value would be 4.5 million pairs; their class has none but with the others."""
+    rows = [(i, "n", "p" if i % 3 else None, "u", None, "x", "s" if i else "t", 0) for i in range(3000)]
+    rows += [(3000, "n", "own", "u", None, None, "s", 0), (3001, "n", "p", "u", None, None, "s", 0), (3002, "m", "p", "u", None, "x", "s", 0)]
+    r = spark.createDataFrame(rows, "rid long, name string, phone string, url string, url2 string, state string, category string, gold long")
+    edges = B.alike(r)
+    assert edges.classes.count() == 5 and edges.pairs.count() == 10 and edges.members.where("rid = 3002").isEmpty()
+    for found in (B.edge_partition(r, edges=edges), B.edge_star(r, merge=True, edges=edges)):
+        assert {x.rid: x.group_id for x in found.collect()} == {i: 3002 if i == 3002 else 0 for i in range(3003)}
+    cores = {x.rid: x.core for x in B.agglomerative_cores(r, edges=edges).collect()}
+    assert {cores[i] for i in range(1, 3000)} == {cores[1]} and 3002 not in cores
