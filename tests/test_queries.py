@@ -16,6 +16,7 @@ from chaincores.operators import graph as G
 from chaincores.operators import linkage as L
 from chaincores.operators.components import components
 from chaincores.plans import robust
+from chaincores.plans.cluster import Settings
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -321,3 +322,13 @@ def test_equal_records_make_no_pairs(spark):
         assert {x.rid: x.group_id for x in found.collect()} == {i: 3002 if i == 3002 else 0 for i in range(3003)}
     cores = {x.rid: x.core for x in B.agglomerative_cores(r, edges=edges).collect()}
     assert {cores[i] for i in range(1, 3000)} == {cores[1]} and 3002 not in cores
+
+
+def test_other_cores_share_the_names(spark, monkeypatch):
+    calls = []
+    monkeypatch.setattr(L, "close_names", lambda *a, f=L.close_names: (calls.append(1), f(*a))[1])
+    rows = {x.variant: x for x in q.QUERIES["ablation_edge_rule"](spark, SF).collect()}
+    assert len(calls) == 1 and set(rows) == {"one_dominant", "two_dominant", "similarity"}
+    r = q.listings(spark, SF)
+    groups = L.cluster_elements(r, q._similar_edges(r), Settings(weights=q.learned(spark, SF)))
+    assert q.compare(spark, [("similarity", groups, r)]).collect() == [rows["similarity"]]
