@@ -332,3 +332,38 @@ def test_other_cores_share_the_names(spark, monkeypatch):
     r = q.listings(spark, SF)
     groups = L.cluster_elements(r, q._similar_edges(r), Settings(weights=q.learned(spark, SF)))
     assert q.compare(spark, [("similarity", groups, r)]).collect() == [rows["similarity"]]
+
+
+@pytest.mark.parametrize("local", [0, 1000])
+def test_components_find_their_edges_once(spark, local):
+    seen = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for batch in batches:
+            seen.add(batch.num_rows)
+            yield batch
+
+    rows = [(1, 2), (2, 3), (3, 3), (9, 9), (5, 4), (4, 5), (None, 6), (7, None), (8, 8), (8, 8)]
+    e = spark.createDataFrame(rows, "a long, b long").mapInArrow(count, "a long, b long")
+    got = {(r.node, r.comp) for r in components(e, local=local).collect()}
+    assert got == {(1, 1), (2, 1), (3, 1), (4, 4), (5, 4), (8, 8), (9, 9)} and seen.value == len(rows)
+
+
+def test_names_are_dealt_to_few_blocks():
+    # streets of 900,000 attendees: each block is sent to and prepared for every other one
+    assert G.block_count(454_070, 6) == 28 and G.block_count(0, 6) == 1
+    assert G.block_count(40_000, 6) == 9 and G.block_count(3000, 6) == 3  # work for all cores, where it is worth it
+
+
+def test_pairs_above_equal_one_by_one():
+    from chaincores.functions.text import jaro_winkler, pairs_above
+
+    rng = random.Random(4)
+    for alphabet, longest in (("ab", 5), ("abcdef 0123456789", 18), ("abcdefghijklmnopqrstuvwxyzäé€ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 48), ("abc", 52)):
+        names = list({"".join(rng.choice(alphabet) for _ in range(rng.randrange(longest + 1))) for _ in range(70)})
+        names += sorted({n[:3] + "c" + n[4:] for n in names[:30]} - set(names))
+        for x, y in ((names, None), (names[:30], names[30:])):
+            for t in (0.0, 0.7, 0.8, 0.9):
+                met = [(min(a, b), max(a, b)) for i, a in enumerate(x) for b in (x[i + 1 :] if y is None else y)]
+                want = sorted((a, b, jaro_winkler(a, b)) for a, b in met if jaro_winkler(a, b) > t)
+                assert sorted((a, b, float(s)) for p, q, w in pairs_above(x, y, t) for a, b, s in zip(p, q, w, strict=True)) == want
