@@ -367,3 +367,10 @@ def test_pairs_above_equal_one_by_one():
                 met = [(min(a, b), max(a, b)) for i, a in enumerate(x) for b in (x[i + 1 :] if y is None else y)]
                 want = sorted((a, b, jaro_winkler(a, b)) for a, b in met if jaro_winkler(a, b) > t)
                 assert sorted((a, b, float(s)) for p, q, w in pairs_above(x, y, t) for a, b, s in zip(p, q, w, strict=True)) == want
+
+
+def test_ablation_of_stages_finds_close_names_once(spark, monkeypatch):
+    calls, find = [], L.close_names
+    monkeypatch.setattr(L, "close_names", lambda *a: calls.append(a) or find(*a))
+    got = {r.variant for r in __spark_entry__.queries()["ablation_stages"](spark, "/root/testdata/sf0.001").collect()}
+    assert got == {"both", "core_only", "cluster_only"} and len(calls) == 1
